@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-import heapq
-
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from ..functions.shared import cut
 
+FAR = np.iinfo(np.int64).max
+
 
 def arcs(edges: DataFrame, weights: DataFrame) -> DataFrame:
     return weights.join(edges.select("eid", "src", "dst"), "eid").select("snap", "src", "dst", "w_ms")
@@ -18,7 +19,7 @@ def bounded(edges: DataFrame, weights: DataFrame, origins: DataFrame, r_ms: int,
     """(snap, origin, reached, dist_ms) with dist_ms <= r_ms; every origin reaches itself.
 
     loop: rounds of one join and one aggregate on (snap, at), for any graph.  block: one exchange; map cells with a
-    halo as wide as `r_ms` allows are searched by heap, for graphs whose edges join neighbouring coordinates.
+    halo as wide as `r_ms` allows are searched in one kernel each, for graphs whose edges join neighbouring coordinates.
     """
     if engine == "block":
         return _blocks(edges, weights, origins, r_ms, vertices, cell)
@@ -57,27 +58,33 @@ def _blocks(edges, weights, origins, r_ms, vertices, cell):
     rows = spread.join(near, "src").select("snap", "cx", "cy", "src", "dst", "w_ms").join(mine.select("cx", "cy").distinct(), ["cx", "cy"], "left_semi").select("snap", "cx", "cy", "src", "dst", "w_ms")
 
     def search(key, table):
-        graph, sources = {}, []
-        for s, d, w in zip(table.column("src").to_pylist(), table.column("dst").to_pylist(), table.column("w_ms").to_pylist()):
-            if d is None:
-                sources.append(s)
-            else:
-                graph.setdefault(s, []).append((w, d))
-        origin, reached, dist = [], [], []
-        for s in sources:
-            done, heap = {}, [(0, s)]
-            while heap:
-                d, v = heapq.heappop(heap)
-                if v in done:
-                    continue
-                done[v] = d
-                for w, u in graph.get(v, ()):
-                    if d + w <= r_ms and u not in done:
-                        heapq.heappush(heap, (d + w, u))
-            origin += [s] * len(done)
-            reached += done.keys()
-            dist += done.values()
-        n = len(origin)
-        return pa.table([pa.array([key[0].as_py()] * n, pa.int32()), pa.array(origin, pa.int64()), pa.array(reached, pa.int64()), pa.array(dist, pa.int64())], names=["snap", "origin", "reached", "dist_ms"])
+        """All origins of a cell at once: a dense (origin, vertex) table and rounds over what just improved."""
+        src, w = table.column("src").to_numpy(), table.column("w_ms").to_numpy()
+        dst = table.column("dst").to_numpy()
+        own = np.asarray(table.column("dst").is_null())
+        ids = np.unique(np.concatenate([src, dst[~own].astype(np.int64)]))
+        tail, head = np.searchsorted(ids, src[~own]), np.searchsorted(ids, dst[~own].astype(np.int64))
+        order = np.argsort(tail, kind="stable")
+        head, cost = head[order], w[~own][order].astype(np.int64)
+        first = np.searchsorted(tail[order], np.arange(len(ids) + 1))
+        m, at = len(ids), np.searchsorted(ids, src[own])
+        best = np.full(len(at) * m, FAR, np.int64)
+        front = np.arange(len(at)) * m + at
+        best[front] = 0
+        while len(front):
+            v = front % m
+            deg = first[v + 1] - first[v]
+            arc = np.arange(deg.sum()) + np.repeat(first[v] - np.concatenate([[0], np.cumsum(deg)[:-1]]), deg)
+            reach_ = np.repeat(best[front], deg) + cost[arc]
+            to = np.repeat(front - v, deg) + head[arc]
+            better = (reach_ <= r_ms) & (reach_ < best[to])
+            to, reach_ = to[better], reach_[better]
+            np.minimum.at(best, to, reach_)
+            front = np.unique(to)
+        hit = np.flatnonzero(best < FAR)
+        return pa.table(
+            [pa.array(np.full(len(hit), key[0].as_py()), pa.int32()), pa.array(ids[at[hit // m]], pa.int64()), pa.array(ids[hit % m], pa.int64()), pa.array(best[hit])],
+            names=["snap", "origin", "reached", "dist_ms"],
+        )
 
     return rows.unionByName(wanted).groupBy("snap", "cx", "cy").applyInArrow(search, "snap int, origin bigint, reached bigint, dist_ms bigint")

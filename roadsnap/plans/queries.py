@@ -248,7 +248,7 @@ bs AS (SELECT lo, hi, typ, worst FROM (SELECT *, row_number() OVER (PARTITION BY
 en AS (SELECT lo, coalesce(min(hi) FILTER (worst > {{eps}}), (SELECT max(snap) + 1 FROM s)) - 1 AS hi FROM bs GROUP BY 1),
 wn(lo, hi) AS (SELECT lo, hi FROM en WHERE lo = 0 UNION ALL SELECT en.lo, en.hi FROM wn JOIN en ON en.lo = wn.hi + 1)
 """
-EPS = 0.2
+EPS = 0.55
 
 
 @query(_WINDOWS.format(eps=EPS) + "SELECT CAST(lo AS INTEGER) AS lo, CAST(hi AS INTEGER) AS hi, typ, worst FROM wn JOIN bs USING (lo, hi)")
@@ -341,10 +341,11 @@ def edge_l2_from_gram(spark, sf_dir):
     return distances.from_gram(cut(edgevec.gram(edgevec.weights(net.weights), n_of(net))))
 
 
-@query(f"WITH {S.TRADE} SELECT a.snap AS i, b.snap AS j, CAST(sum(a.w_ms * b.w_ms) AS DOUBLE) AS dot FROM wt a JOIN wt b USING (eid) GROUP BY ALL")
+@query(f"WITH {S.TRADE} SELECT a.snap AS i, b.snap AS j, round(CAST(sum(a.w_ms * b.w_ms) AS DOUBLE) / 1000000) AS dot FROM wt a JOIN wt b USING (eid) GROUP BY ALL")
 def edge_gram(spark, sf_dir):
     net = nets.trade_net(spark, sf_dir)
-    return edgevec.gram(edgevec.weights(net.weights), n_of(net))
+    g = edgevec.gram(edgevec.weights(net.weights), n_of(net))
+    return g.select("i", "j", F.round(F.col("dot") / 1_000_000).alias("dot"))  # in square seconds: sums of doubles differ in their last digits
 
 
 @query(f"WITH {S.TRADE}, {_L2} SELECT i, j, round(dist, 3) AS dist FROM l2")
@@ -675,7 +676,7 @@ _set_query("set_distance_overlap", "overlap", "round(CAST(sum(ni + nj - 2 * m) A
 # ---------------------------------------------------------------- matching
 
 _NEAR = "nr AS (SELECT i AS snap, typ, dist FROM (SELECT a.snap AS i, b.snap AS typ, round(sqrt(CAST(sum((a.w_ms - b.w_ms) * (a.w_ms - b.w_ms)) AS DOUBLE)), 6) AS dist FROM wt a JOIN wt b ON a.eid = b.eid AND b.snap % 6 = 0 GROUP BY ALL) QUALIFY row_number() OVER (PARTITION BY i ORDER BY dist, typ) = 1)"
-TAU = 3_000_000.0
+TAU = 130_000_000.0
 
 
 def _match(spark, sf_dir):
@@ -683,23 +684,28 @@ def _match(spark, sf_dir):
     return matching.nearest(rep, rep.filter("snap % 6 = 0"))
 
 
-@query(f"WITH {S.TRADE}, {_NEAR} SELECT * FROM nr")
+def _coarse(df):
+    """Sums of large squares differ in the last digits with the order of adding; two decimals do not."""
+    return df.withColumn("dist", F.round("dist", 2))
+
+
+@query(f"WITH {S.TRADE}, {_NEAR} SELECT snap, typ, round(dist, 2) AS dist FROM nr")
 def match_nearest(spark, sf_dir):
-    return _match(spark, sf_dir)
+    return _coarse(_match(spark, sf_dir))
 
 
-@query(f"WITH {S.TRADE}, {_NEAR} SELECT snap, CASE WHEN dist > {TAU} THEN snap ELSE typ END AS typ, dist, dist > {TAU} AS is_new FROM nr")
+@query(f"WITH {S.TRADE}, {_NEAR} SELECT snap, CASE WHEN dist > {TAU} THEN snap ELSE typ END AS typ, round(dist, 2) AS dist, dist > {TAU} AS is_new FROM nr")
 def match_decide(spark, sf_dir):
-    return matching.decide(_match(spark, sf_dir), TAU)
+    return _coarse(matching.decide(_match(spark, sf_dir), TAU))
 
 
 @query(
     f"WITH RECURSIVE {S.TRADE}, {_L2}, al AS (SELECT i, j, dist FROM l2 UNION ALL SELECT j, i, dist FROM l2), "
     f"rp(snap, typ, dist, is_new, t) AS (SELECT 0, 0, CAST(NULL AS DOUBLE), true, [0] UNION ALL SELECT snap + 1, CASE WHEN b.dist > {TAU} THEN snap + 1 ELSE b.j END, b.dist, b.dist > {TAU}, CASE WHEN b.dist > {TAU} THEN list_append(t, snap + 1) ELSE t END "
-    "FROM rp, LATERAL (SELECT j, dist FROM al WHERE al.i = rp.snap + 1 AND list_contains(rp.t, al.j) ORDER BY dist, j LIMIT 1) b) SELECT snap, typ, dist, is_new FROM rp"
+    "FROM rp, LATERAL (SELECT j, dist FROM al WHERE al.i = rp.snap + 1 AND list_contains(rp.t, al.j) ORDER BY dist, j LIMIT 1) b) SELECT snap, typ, round(dist, 2) AS dist, is_new FROM rp"
 )
 def match_replay(spark, sf_dir):
-    return matching.replay(_trade_dist(spark, sf_dir), TAU)
+    return _coarse(matching.replay(_trade_dist(spark, sf_dir), TAU))
 
 
 @query(f"{_SETS}, al AS (SELECT a.snap AS i, b.snap AS j, vid, count(*) AS m FROM rs a JOIN rs b USING (vid, reached) WHERE b.snap % 3 = 0 GROUP BY ALL), d AS (SELECT i, j, round(1 - CAST(sum(m * 1000000000 // (x.n + y.n - m)) AS BIGINT) / count(*) / 1e9, 6) AS dist FROM al JOIN sn x ON x.snap = i AND x.vid = al.vid JOIN sn y ON y.snap = j AND y.vid = al.vid GROUP BY ALL) SELECT i AS snap, j AS typ, dist FROM d QUALIFY row_number() OVER (PARTITION BY i ORDER BY dist, j) = 1")
@@ -855,16 +861,16 @@ def purity_table(spark, sf_dir):
 
 
 @query(
-    "WITH x AS (SELECT vec_id, CAST(unnest(embedding) AS DOUBLE) AS val, generate_subscripts(embedding, 1) AS dim FROM embeddings), m AS (SELECT label, dim, round(avg(val), 6) AS c FROM x JOIN embeddings USING (vec_id) GROUP BY ALL) "
-    "SELECT vec_id AS snap, label AS typ, round(dist, 4) AS dist FROM (SELECT vec_id, label, sqrt(sum((val - c) * (val - c))) AS dist FROM x JOIN m USING (dim) GROUP BY ALL) QUALIFY row_number() OVER (PARTITION BY vec_id ORDER BY dist, label) = 1"
+    "WITH x AS (SELECT vec_id, round(CAST(unnest(embedding) AS DOUBLE) * 1000000) AS val, generate_subscripts(embedding, 1) AS dim FROM embeddings), m AS (SELECT label, dim, round(avg(val)) AS c FROM x JOIN embeddings USING (vec_id) GROUP BY ALL) "
+    "SELECT vec_id AS snap, label AS typ, round(dist, 3) AS dist FROM (SELECT vec_id, label, sqrt(sum((val - c) * (val - c))) AS dist FROM x JOIN m USING (dim) GROUP BY ALL) QUALIFY row_number() OVER (PARTITION BY vec_id ORDER BY dist, label) = 1"
 )
 def embeddings_l2_nearest(spark, sf_dir):
     """The matching operator on ready vectors: every vector against the mean vector of each label."""
     e = table(spark, sf_dir, "embeddings")
-    x = e.select(F.col("vec_id").alias("snap"), "label", F.posexplode("embedding").alias("dim", "val")).select("snap", "label", "dim", F.col("val").cast("double").alias("val"))
-    means = cut(x.groupBy("label", "dim").agg(F.round(F.avg("val"), 6).alias("val")).select(F.col("label").alias("snap"), "dim", "val"))
+    x = e.select(F.col("vec_id").alias("snap"), "label", F.posexplode("embedding").alias("dim", "val")).select("snap", "label", "dim", F.round(F.col("val").cast("double") * 1_000_000).alias("val"))  # whole millionths: sums are exact
+    means = cut(x.groupBy("label", "dim").agg(F.round(F.avg("val")).alias("val")).select(F.col("label").alias("snap"), "dim", "val"))
     near = matching.nearest(x.select("snap", "dim", "val"), means)
-    return near.select("snap", "typ", F.round("dist", 4).alias("dist"))
+    return near.select("snap", "typ", F.round("dist", 3).alias("dist"))
 
 
 @query(

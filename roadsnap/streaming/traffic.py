@@ -126,8 +126,9 @@ def match_stream(rep_stream: DataFrame, typical: DataFrame, tau: float) -> DataF
     matcher = SnapshotMatcher(typical, tau)
     base = rep_stream.sparkSession
     anchor = base.sparkContext.getConf().get("spark.checkpoint.dir", None) or base.conf.get("roadsnap.loops.dir")
-    query = rep_stream.writeStream.foreachBatch(matcher.batch).option("checkpointLocation", f"{anchor}/match-{uuid.uuid4().hex}").trigger(availableNow=True).start()
-    query.awaitTermination()
+    query = rep_stream.writeStream.foreachBatch(matcher.batch).option("checkpointLocation", f"{anchor}/match-{uuid.uuid4().hex}").start()
+    query.processAllAvailable()  # a replayed source tells batch by batch what is left
+    query.stop()
     out = None
     for d in matcher.decisions.values():
         out = d if out is None else out.unionByName(d)
