@@ -134,7 +134,8 @@ def dedup(docs: DataFrame, history: DataFrame | None = None) -> DataFrame:
     digest = F.unhex(F.sha2(F.col("text").cast("binary"), 256))
     names = docs.columns
     lost = gone.filter("not (doc_id <=> winner)") if history is None else gone.filter("not (doc_id <=> winner) or copies >= 1")
-    lost = lost.select(F.col("doc_id").alias("__id"), F.col("digest").alias("__digest"))
+    # the list of repeats grows with the corpus, so its join is the same at every size
+    lost = lost.select(F.col("doc_id").alias("__id"), F.col("digest").alias("__digest")).hint("shuffle_hash")
     many = gone.filter("copies > 1 and doc_id <=> winner").select(F.col("doc_id").alias("__id"), F.col("digest").alias("__digest"))
     left = docs.join(lost, docs["doc_id"].eqNullSafe(lost["__id"]) & (digest == F.col("__digest")), "left_anti")
     if history is not None or many.isEmpty():
