@@ -419,4 +419,4 @@ def redact(docs: DataFrame, field: Field | None = None) -> DataFrame:
                 columns.append(column)
             yield pa.RecordBatch.from_arrays([*columns, pa.array(spans, kind)], names=[*names, "spans"])
 
-    return docs.mapInArrow(run, tk.with_fields(docs, spans=SPANS))
+    return tk.map_arrow(docs, run, tk.with_fields(docs, spans=SPANS))

@@ -147,7 +147,7 @@ def score(docs: DataFrame, weights: np.ndarray) -> DataFrame:
             p = np.concatenate(p, 1) if p else np.empty((2, 0))
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(p[0]), pa.array(p[1])], names=[*b.schema.names, "p_quality", "p_toxic"])
 
-    return docs.mapInArrow(run, tk.with_fields(docs, p_quality="double", p_toxic="double"))
+    return tk.map_arrow(docs, run, tk.with_fields(docs, p_quality="double", p_toxic="double"))
 
 
 def classify(docs: DataFrame, labels: DataFrame, min_quality: float = 0.5, max_toxic: float = 0.5, max_rows: int = MAX_ROWS) -> DataFrame:

@@ -321,4 +321,4 @@ def dedup(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
     found = repeats(docs, length, gram)
     spans = keep(found.groupBy("doc_id").agg(F.collect_list(F.struct("start", "n", "first_doc")).alias("__spans")).withColumnRenamed("doc_id", "__id"), "spans")
     both = docs.join(spans, docs["doc_id"] == spans["__id"], "left").drop("__id")
-    return both.mapInArrow(_cut(docs.columns, length), tk.with_fields(docs, removed_words="long", copied_from="array<long>"))
+    return tk.map_arrow(both, _cut(docs.columns, length), tk.with_fields(docs, removed_words="long", copied_from="array<long>"))

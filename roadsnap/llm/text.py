@@ -161,3 +161,17 @@ def opened(shared):
     import pickle
 
     return pickle.loads(shared.value)
+
+
+def map_arrow(df, kernel, schema):
+    """mapInArrow for frames whose columns may have any name, dots included."""
+    names, result = df.columns, [f.name for f in schema]
+    from pyspark.sql.types import StructField, StructType
+
+    def run(batches):
+        named = (pa.RecordBatch.from_arrays(b.columns, names=names) for b in batches)
+        for out in kernel(named):
+            yield pa.RecordBatch.from_arrays(out.columns, names=[f"c{i}" for i in range(len(result))])
+
+    plain = df.toDF(*[f"c{i}" for i in range(len(names))])
+    return plain.mapInArrow(run, StructType([StructField(f"c{i}", f.dataType) for i, f in enumerate(schema)])).toDF(*result)
