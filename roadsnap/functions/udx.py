@@ -6,9 +6,10 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import ArrayType, DoubleType, LongType, StructField, StructType
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def jaccard_udf(a: pd.Series, b: pd.Series) -> pd.Series:
     """Similarity of two arrays taken as sets; null where either is null, 1 for two empty ones."""
 
@@ -21,20 +22,20 @@ def jaccard_udf(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series([one(x, y) for x, y in zip(a, b)], dtype="object").astype("float64")
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def l2_udf(a: pd.Series, b: pd.Series) -> pd.Series:
     """Euclidean distance of two vectors of one length."""
     x, y = np.stack(a.to_numpy()).astype(float), np.stack(b.to_numpy()).astype(float)
     return pd.Series(np.round(np.sqrt(((x - y) ** 2).sum(1)), 6))
 
 
-@pandas_udf("array<bigint>")
+@pandas_udf(ArrayType(LongType()))
 def vec_sum(v: pd.Series) -> list:
     """Grouped sum of vectors of one length."""
     return np.stack(v.to_numpy()).astype(np.int64).sum(0).tolist()
 
 
-@udtf(returnType="eid bigint, src bigint, dst bigint")
+@udtf(returnType=StructType([StructField(n, LongType()) for n in ("eid", "src", "dst")]))
 class GridEdges:
     """Edges of a full grid of w x h vertices."""
 

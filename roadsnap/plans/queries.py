@@ -862,7 +862,7 @@ def purity_table(spark, sf_dir):
 
 @query(
     "WITH x AS (SELECT vec_id, round(CAST(unnest(embedding) AS DOUBLE) * 1000000) AS val, generate_subscripts(embedding, 1) AS dim FROM embeddings), m AS (SELECT label, dim, round(avg(val)) AS c FROM x JOIN embeddings USING (vec_id) GROUP BY ALL) "
-    "SELECT vec_id AS snap, label AS typ, round(dist, 3) AS dist FROM (SELECT vec_id, label, sqrt(sum((val - c) * (val - c))) AS dist FROM x JOIN m USING (dim) GROUP BY ALL) QUALIFY row_number() OVER (PARTITION BY vec_id ORDER BY dist, label) = 1"
+    "SELECT vec_id AS snap, label AS typ, round(round(dist, 6), 3) AS dist FROM (SELECT vec_id, label, sqrt(sum((val - c) * (val - c))) AS dist FROM x JOIN m USING (dim) GROUP BY ALL) QUALIFY row_number() OVER (PARTITION BY vec_id ORDER BY dist, label) = 1"
 )
 def embeddings_l2_nearest(spark, sf_dir):
     """The matching operator on ready vectors: every vector against the mean vector of each label."""
