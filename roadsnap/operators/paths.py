@@ -26,31 +26,40 @@ def cost_rows(costs: DataFrame) -> DataFrame:
 def cost_packed(paths: DataFrame, packed_weights: DataFrame) -> DataFrame:
     """(pid, d) from weights in storage form: edges' arrays are added in Arrow batches, then across them."""
 
+    def summed(pid, rows):
+        order = np.argsort(pid, kind="stable")
+        pid, rows = pid[order], rows[order]
+        first = np.flatnonzero(np.concatenate([[True], pid[1:] != pid[:-1]]))
+        return pid[first], np.add.reduceat(rows, first)
+
+    def opened(b):
+        return b.column("pid").to_numpy(), b.column("w").flatten().to_numpy(zero_copy_only=False).astype(np.int64).reshape(b.num_rows, -1)
+
+    def batch(pid, rows, name):
+        offsets = pa.array(np.arange(len(pid) + 1) * rows.shape[1], pa.int32())
+        return pa.RecordBatch.from_arrays([pa.array(pid), pa.ListArray.from_arrays(offsets, pa.array(rows.ravel()))], names=["pid", name])
+
     def add(batches):
         for b in batches:
-            if not b.num_rows:
-                continue
-            pid = b.column("pid").to_numpy()
-            rows = np.stack(b.column("w").to_numpy(zero_copy_only=False)).astype(np.int64)
-            order = np.argsort(pid, kind="stable")
-            pid, rows = pid[order], rows[order]
-            first = np.flatnonzero(np.concatenate([[True], pid[1:] != pid[:-1]]))
-            yield pa.RecordBatch.from_arrays([pa.array(pid[first]), pa.array(list(np.add.reduceat(rows, first)), pa.list_(pa.int64()))], names=["pid", "w"])
+            if b.num_rows:
+                yield batch(*summed(*opened(b)), "w")
 
     joined = paths.select("pid", "eid").join(packed_weights, "eid").select("pid", "w")
     partial = joined.mapInArrow(add, "pid bigint, w array<bigint>").repartition("pid").sortWithinPartitions("pid")
 
     def finish(batches):
-        held = None  # a path may go on in the next batch
-        for b in add(batches):
-            pid, rows = b.column("pid").to_pylist(), b.column("w").to_pylist()
-            if held is not None and pid and pid[0] == held[0]:
-                rows[0] = (np.array(rows[0]) + np.array(held[1])).tolist()
-            elif held is not None:
-                pid, rows = [held[0], *pid], [held[1], *rows]
-            held = (pid.pop(), rows.pop())
-            yield pa.RecordBatch.from_arrays([pa.array(pid, pa.int64()), pa.array(rows, pa.list_(pa.int64()))], names=["pid", "d"])
+        held = None  # the last path of a batch may go on in the next one
+        for b in batches:
+            if not b.num_rows:
+                continue
+            pid, rows = opened(b)
+            if held is not None:
+                pid, rows = np.concatenate([held[0], pid]), np.concatenate([held[1], rows])
+            pid, rows = summed(pid, rows)
+            held = (pid[-1:], rows[-1:])
+            if len(pid) > 1:
+                yield batch(pid[:-1], rows[:-1], "d")
         if held is not None:
-            yield pa.RecordBatch.from_arrays([pa.array([held[0]], pa.int64()), pa.array([held[1]], pa.list_(pa.int64()))], names=["pid", "d"])
+            yield batch(*held, "d")
 
     return partial.mapInArrow(finish, "pid bigint, d array<bigint>")
