@@ -75,7 +75,8 @@ def dedup(docs: DataFrame, min_lines: int = MIN_LINES) -> DataFrame:
     runs = repeated_runs(docs, min_lines)
     gone = runs.groupBy("doc_id").agg(F.collect_list(F.expr("sequence(ln, ln + lines - 1)")).alias("gone"), F.sort_array(F.collect_set("first_doc")).alias("__from"))
     gone = keep(gone.select(F.col("doc_id").alias("__id"), F.array_distinct(F.flatten("gone")).alias("__gone"), "__from"), "gone")
-    both = docs.join(gone, docs["doc_id"] == gone["__id"], "left")
+    # the list of changed texts grows with the corpus, so its join is the same at every size
+    both = docs.join(gone.hint("shuffle_hash"), docs["doc_id"] == gone["__id"], "left")
     left = F.filter(F.split("text", "\n", -1), lambda x, i: ~F.array_contains(F.col("__gone"), i))
     text = F.when(F.col("__gone").isNull(), F.col("text")).otherwise(F.array_join(left, "\n"))
     cols = [text.alias(c) if c == "text" else F.length(text).cast(dict(docs.dtypes)[c]).alias(c) if c == "n_chars" else docs[f"`{c}`"] for c in docs.columns]
