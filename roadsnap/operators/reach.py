@@ -43,8 +43,10 @@ def hops(edges: DataFrame, origins: DataFrame, n: int) -> DataFrame:
 
 
 def _blocks(edges, weights, origins, r_ms, vertices, cell):
+    """Two passes: on each edge's least weight, what a cell's origins can ever reach; then every snapshot on just that."""
     spread = arcs(edges, weights)
-    least = spread.agg(F.min("w_ms")).first()[0] or 1
+    floor = cut(weights.groupBy("eid").agg(F.min("w_ms").alias("w_ms")).select(F.lit(0).alias("snap"), "eid", "w_ms"))
+    least = floor.agg(F.min("w_ms")).first()[0] or 1
     halo = int(r_ms // max(1, least)) + 1  # no search goes further than this many neighbouring cells
     at = vertices.select("vid", "x", "y")
     near = at.select(
@@ -52,10 +54,18 @@ def _blocks(edges, weights, origins, r_ms, vertices, cell):
         F.explode(F.expr(f"sequence((x - {halo}) div {cell} - 1, (x + {halo}) div {cell})")).alias("cx"), "x", "y",
     ).select("src", "cx", "x", F.explode(F.expr(f"sequence((y - {halo}) div {cell} - 1, (y + {halo}) div {cell})")).alias("cy"), "y")
     near = near.filter(f"x between cx * {cell} - {halo} and cx * {cell} + {cell - 1 + halo} and y between cy * {cell} - {halo} and cy * {cell} + {cell - 1 + halo}").select("src", "cx", "cy")
-    mine = origins.select("vid").join(at, "vid").select(F.expr(f"x div {cell}").alias("cx"), F.expr(f"y div {cell}").alias("cy"), F.col("vid").alias("src"))
+    mine = cut(origins.select("vid").join(at, "vid").select(F.expr(f"x div {cell}").alias("cx"), F.expr(f"y div {cell}").alias("cy"), F.col("vid").alias("src")))
+    near = near.join(mine.select("cx", "cy").distinct(), ["cx", "cy"], "left_semi").select("src", "cx", "cy")
+    ever = _search(arcs(edges, floor), near, mine, floor, r_ms)
+    near = cut(ever.join(mine.withColumnRenamed("src", "origin"), "origin").select(F.col("reached").alias("src"), "cx", "cy").distinct())
+    return _search(spread, near, mine, weights, r_ms)
+
+
+def _search(spread, near, mine, weights, r_ms):
+    """One task for each snapshot and cell: `near` tells whose outgoing arcs a cell needs, `mine` its origins."""
     snaps = weights.select("snap").distinct()
     wanted = mine.crossJoin(snaps).select("snap", "cx", "cy", "src", F.lit(None).cast("bigint").alias("dst"), F.lit(None).cast("bigint").alias("w_ms"))
-    rows = spread.join(near, "src").select("snap", "cx", "cy", "src", "dst", "w_ms").join(mine.select("cx", "cy").distinct(), ["cx", "cy"], "left_semi").select("snap", "cx", "cy", "src", "dst", "w_ms")
+    rows = spread.join(near, "src").select("snap", "cx", "cy", "src", "dst", "w_ms")
 
     def search(key, table):
         """All origins of a cell at once: a dense (origin, vertex) table and rounds over what just improved."""
