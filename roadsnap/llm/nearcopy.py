@@ -7,9 +7,10 @@ probability Jaccard similarity.  A text's processes stop once their next arrival
 registers.  Registers are cut to bands; texts that agree in a band are candidates, and a candidate pair
 counts when its exact probability Jaccard is at least `threshold`.
 
-Candidates of a band bucket are compared with the bucket's least doc_id first; those that it does not match
-go on among themselves, at last all with all.  Texts with equal shingle counts are one node throughout.
-Of every connected group the least doc_id stays.
+Every pair of a band bucket is compared, unless its two texts are connected already.  It is done in rounds: in
+each, a bucket's least doc_ids (1, 4, 16, ...) are its hubs, which meet all other members that are not in their
+component; then hubs leave the bucket, and a bucket whose members are all in one component is done.  Texts
+with equal shingle counts are one node throughout.  Of every connected group the least doc_id stays.
 
 Defined results: a null or empty text has no shingle and stays; a text of fewer than `k` words is one
 shingle; rows that share a doc_id stay or go together; a row with a null doc_id stays.
@@ -19,13 +20,14 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import DataFrame, Window, functions as F
 
 from . import text as tk
 from .store import drop, keep
 
 K, REGISTERS, ROWS, THRESHOLD = 3, 144, 4, 0.5
-STAR_ROUNDS = 3
+#: Each round a bucket has so many times the hubs of the round before.
+GROWTH = 4
 
 
 def weighted_shingles(data, offsets, k, hasher):
@@ -158,26 +160,33 @@ def pairs(docs: DataFrame, threshold: float = THRESHOLD, k: int = K, m: int = RE
     same = keep(same, "nodes")
     twins = sk.select("doc_id", "whole", "whole2").join(same.filter("n > 1").select("whole", "whole2", "node"), ["whole", "whole2"]).filter("doc_id != node")
     edges = [keep(twins.select(F.col("node").alias("a"), F.col("doc_id").alias("b")).distinct(), "edges")]
+    drop(sk)
     members = same.select(F.explode("bands").alias("h"), F.col("node").alias("id"))
     full = members.groupBy("h").agg(F.min("id").alias("hub"), F.max("id").alias("last")).filter("hub < last")
-    members = keep(members.join(full.select("h"), "h"), "buckets")
+    members = keep(members.join(full.select("h"), "h").select("h", "id", F.col("id").alias("root")), "buckets")
+    drop(same)
     if not members.isEmpty():
         wanted = members.select(F.col("id").alias("doc_id")).distinct()
         sets = keep(shingle_sets(docs.select("doc_id", "text").join(wanted, "doc_id", "left_semi").dropDuplicates(["doc_id"]), k), "sets")
-        for turn in range(STAR_ROUNDS + 1):
-            if turn < STAR_ROUNDS:
-                hubs = members.groupBy("h").agg(F.min("id").alias("a"))
-                star = members.join(hubs, "h").filter("id != a").withColumnRenamed("id", "b")
-            else:
-                other = members.withColumnRenamed("id", "a")
-                star = members.withColumnRenamed("id", "b").join(other, "h").filter("a < b")
-            known = keep(verify(star.select("a", "b").distinct(), sets), "verified")
-            edges.append(known.filter(F.col("similarity") >= threshold).select("a", "b"))
-            if turn == STAR_ROUNDS:
-                break
-            members = keep(star.join(known.filter(F.col("similarity") < threshold), ["a", "b"], "left_semi").select("h", F.col("b").alias("id")), "rest")
-            if members.isEmpty():
-                break
+    failed, hubs = None, 1
+    while not members.isEmpty():
+        ranked = keep(members.withColumn("turn", F.row_number().over(Window.partitionBy("h").orderBy("id"))), "ranked")
+        drop(members)
+        hub = ranked.filter(F.col("turn") <= hubs).select("h", F.col("id").alias("a"), F.col("root").alias("a_root"), F.col("turn").alias("a_turn"))
+        star = ranked.withColumnRenamed("id", "b").join(hub, "h").filter("turn > a_turn and root != a_root").select("a", "b", "a_root", "root").distinct()
+        star = keep(star if failed is None else star.join(failed, ["a", "b"], "left_anti"), "star")
+        known = keep(verify(star.select("a", "b"), sets), "verified")
+        linked, parted = known.filter(F.col("similarity") >= threshold).select("a", "b"), known.filter(F.col("similarity") < threshold).select("a", "b")
+        edges.append(linked)
+        failed = parted if failed is None else failed.unionByName(parted)
+        moved = components(star.join(linked, ["a", "b"], "left_semi").select(F.col("a_root").alias("a"), F.col("root").alias("b")).distinct())
+        # a hub has met all others of its bucket, so it leaves; a bucket of one component has nothing to tell any more
+        rest = ranked.filter(F.col("turn") > hubs).join(moved.select(F.col("doc_id").alias("root"), F.col("root").alias("to")), "root", "left")
+        rest = keep(rest.select("h", "id", F.coalesce("to", "root").alias("root")), "rest")
+        open_ = rest.groupBy("h").agg(F.min("root").alias("low"), F.max("root").alias("high")).filter("low != high")
+        members = keep(rest.join(open_.select("h"), "h"), "buckets")
+        drop(ranked, star, rest, moved)
+        hubs *= GROWTH
     out = edges[0]
     for e in edges[1:]:
         out = out.unionByName(e)

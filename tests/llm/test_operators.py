@@ -367,6 +367,27 @@ def test_near_copies_recall(documents, texts):
     assert set(root) <= linked and min(left.values()) > 1  # nothing else is touched
 
 
+@pytest.mark.parametrize("low, high", [(0.05, 0.2), (0.08, 0.12)])
+def test_drifting_hot_group_equals_brute_force(spark, low, high):
+    rng = random.Random(8)
+    base = [f"w{i}" for i in range(60)]
+    docs = [" ".join(f"e{rng.random()}" if rng.random() < share else x for x in base) for share in (rng.uniform(low, high) for _ in range(90))]
+    df = frame(spark, docs)
+    buckets = defaultdict(list)
+    for r in nearcopy.sketch(df).collect():
+        for h in r["bands"]:
+            buckets[h].append(r["doc_id"])
+    met = {(min(a, b), max(a, b)) for ids in buckets.values() for a in ids for b in ids if a != b}
+    w = [weighted(t) for t in docs]
+    root = list(range(len(docs)))
+    for a, b in met:
+        if brute_probability_jaccard(w[a], w[b]) >= nearcopy.THRESHOLD:
+            x, y = sorted((root[a], root[b]))
+            root = [x if r == y else r for r in root]
+    got = {r["doc_id"]: r["root"] for r in nearcopy.components(nearcopy.pairs(df)).collect()}
+    assert max(map(len, buckets.values())) > 10 and [got.get(d, d) for d in range(len(docs))] == root
+
+
 def test_hot_group_of_near_copies(spark):
     base = [f"w{i}" for i in range(200)]
     rng = random.Random(2)
