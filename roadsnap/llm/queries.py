@@ -28,8 +28,7 @@ def op3_quality_classifier(spark, sf_dir):
 
 
 def op4_fingerprints(spark, sf_dir):
-    reference = fingerprint.reference_sketch(table(spark, sf_dir, "benchmark"))
-    return fingerprint.sketch(table(spark, sf_dir, "documents"), reference=reference)
+    return fingerprint.against(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
 def op5_sentencepiece(spark, sf_dir):

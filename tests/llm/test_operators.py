@@ -250,6 +250,31 @@ def test_merged_sketch_is_that_of_the_union(spark, documents):
         assert whole[r] == every.tolist()
 
 
+def test_documents_against_a_large_benchmark(spark, tmp_path):
+    rng = random.Random(5)
+    items = [" ".join(f"w{rng.randrange(10**6)}" for _ in range(35)) for _ in range(2500)]
+    long = " ".join(f"x{i}" for i in range(3000))
+    docs = [items[7], f"{long} {items[8]} {long}", " ".join(items[9].split()[:20] + items[10].split()[:12]), "nothing of it is in there at all", "", None, f"a b {items[2499]}"]
+    frame(spark, docs).write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame(list(enumerate(items)), "item_id bigint, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+
+    def shingle_set(t):
+        w = (t or "").split()
+        return {tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set()
+
+    from roadsnap.llm import queries
+
+    sets, whole = [shingle_set(t) for t in items], set().union(*map(shingle_set, items))
+    got = {r["doc_id"]: r for r in queries.op4_fingerprints(spark, str(tmp_path)).collect()}
+    assert len(whole) > 65_536 and len(got) == len(docs)
+    for d, t in enumerate(docs):
+        mine = shingle_set(t)
+        assert got[d]["reference_containment"] == pytest.approx(len(mine & whole) / len(mine) if mine else 0)
+        assert got[d]["reference_resemblance"] == pytest.approx(len(mine & whole) / len(mine | whole))
+        want = [(i, len(mine & s), len(mine & s) / len(mine | s), len(mine & s) / len(s), len(mine & s) / len(mine)) for i, s in enumerate(sets) if mine & s]
+        assert len(got[d]["items"]) == len(want) and all(tuple(x) == pytest.approx(y) for x, y in zip(got[d]["items"], want))
+
+
 # ---------------------------------------------------------------- 5 sentencepiece
 
 
