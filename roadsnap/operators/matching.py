@@ -45,6 +45,25 @@ def decide(matched: DataFrame, tau: float) -> DataFrame:
     return matched.select("snap", F.when(new, F.col("snap")).otherwise(F.col("typ")).alias("typ"), "dist", new.alias("is_new"))
 
 
+def decide_in_order(rep: DataFrame, typical: DataFrame, tau: float) -> DataFrame:
+    """decide() for the snapshots of `rep` one after the other, each against `typical` and those opened before it.
+
+    Collects the closest typical snapshot of each of `rep`, and the distances among them.
+    """
+    known = {r["snap"]: (r["dist"], r["typ"]) for r in nearest(rep, typical).collect()}
+    among = {(r["i"], r["j"]): r["dist"] for r in distances.euclidean(rep).collect()}
+    opened, rows = [], []
+    for s in sorted(r["snap"] for r in rep.select("snap").distinct().collect()):
+        near = [(among[t, s], t) for t in opened if (t, s) in among]
+        dist, typ = min(near + ([known[s]] if s in known else []), default=(None, None))
+        if dist is None or dist > tau:
+            opened.append(s)
+            rows.append((s, s, dist, True))
+        else:
+            rows.append((s, typ, dist, False))
+    return rep.sparkSession.createDataFrame(rows, "snap int, typ int, dist double, is_new boolean")
+
+
 def replay(dist: DataFrame, tau: float, initial: tuple[int, ...] = ()) -> DataFrame:
     """(snap, typ, dist, is_new) in time order: every snapshot meets only what became typical before it."""
     from .clustering import collect_distances

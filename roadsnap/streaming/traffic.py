@@ -102,7 +102,8 @@ class SnapshotMatcher:
     """Per micro-batch: window weights, their representation, and the decision against a versioned model.
 
     The model (typical representations) is a small table; each batch that opens a typical snapshot writes the
-    next version, so replaying a batch number gives the same version again.
+    next version, so replaying a batch number gives the same version again.  The snapshots of a batch are decided
+    in the order of their numbers, and meet those that became typical before them in the batch too.
     """
 
     def __init__(self, typical: DataFrame, tau: float):
@@ -115,7 +116,7 @@ class SnapshotMatcher:
         from ..operators import matching
 
         before = self.versions[max(v for v in self.versions if v < number)]
-        decided = cut(matching.decide(matching.nearest(rep, before), self.tau))
+        decided = cut(matching.decide_in_order(rep, before, self.tau))
         fresh = rep.join(decided.filter("is_new").select("snap"), "snap", "left_semi")
         self.versions[number] = cut(before.unionByName(fresh))
         self.decisions[number] = decided

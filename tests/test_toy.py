@@ -190,3 +190,18 @@ def test_model_store(spark, tmp_path):
     assert back.collect() == rep.collect() and params == {"r_ms": 60000}
     level, slope = matching.linear_fit([1, 2, 3], [1.5, 2.5, 3.5])
     assert level == pytest.approx(0.5) and slope == pytest.approx(1.0)
+
+
+def test_stream_decisions_do_not_depend_on_the_batch_size(spark):
+    from roadsnap.streaming import traffic
+
+    level = [0, 10, 10, 20, 11, 20, 0, 31, 30, 10]
+    rep = spark.createDataFrame([(i, d, float(v)) for i, v in enumerate(level) for d in (0, 1)], "snap int, dim bigint, val double")
+    pairs = distances.euclidean(rep)
+    want = sorted(map(tuple, matching.replay(pairs, 5.0, (0,)).collect()))
+    assert sum(r[3] for r in want) == 3
+    for size in (1, 3, 7, 10):
+        matcher = traffic.SnapshotMatcher(rep.filter("snap = 0"), 5.0)
+        for number, lo in enumerate(range(0, len(level), size)):
+            matcher.batch(rep.filter(f"snap >= {lo} and snap < {lo + size}"), number)
+        assert sorted(tuple(r) for d in matcher.decisions.values() for r in d.collect()) == want, size
