@@ -878,7 +878,7 @@ def embeddings_l2_nearest(spark, sf_dir):
     "b AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS m FROM l x JOIN l y ON x.line = y.line AND x.lang = y.lang AND x.doc_id < y.doc_id GROUP BY ALL) SELECT a, b, round(1 - m / (p.n + q.n - m), 6) AS dist FROM b JOIN n p ON p.doc_id = a JOIN n q ON q.doc_id = b WHERE 2 * m >= p.n + q.n - m"
 )
 def documents_jaccard_pairs(spark, sf_dir):
-    """Set distance on documents as sets of lines, within a language: near copies come closest."""
+    """Set distance on documents as sets of lines, within a language; near copies that share few equal lines are not found."""
     lines = table(spark, sf_dir, "documents").select("doc_id", "lang", F.explode(F.split("text", "\n", -1)).alias("line")).select("doc_id", "lang", F.md5(F.col("line").cast("binary")).alias("line")).distinct()
     lines = cut(lines)
     n = lines.groupBy("doc_id").agg(F.count("*").alias("n"))
