@@ -36,7 +36,8 @@ def op5_sentencepiece(spark, sf_dir):
 
 
 def op6_exact_dedup(spark, sf_dir):
-    return exact.dedup(table(spark, sf_dir, "documents"))
+    """Texts of src0 are the history; the other sources' texts are looked up in it."""
+    return exact.dedup_by_history(table(spark, sf_dir, "documents"), "source = 'src0'")
 
 
 def op7_suffix_dedup(spark, sf_dir):
@@ -67,10 +68,11 @@ ORACLE_SQL = {
     "op2_line_dedup": """
 WITH lines AS (
   SELECT doc_id, unnest(range(len(parts))) AS ln, parts FROM (SELECT doc_id, string_split(text, chr(10)) AS parts FROM documents)),
-pairs AS (SELECT doc_id, ln, parts[ln + 1] AS a, parts[ln + 2] AS b FROM lines WHERE ln + 2 <= len(parts)),
-firsts AS (SELECT doc_id, ln, first_value(struct_pack(d := doc_id, l := ln)) OVER (PARTITION BY a, b ORDER BY doc_id, ln) AS f FROM pairs),
-copies AS (SELECT * FROM firsts WHERE doc_id <> f.d OR ln >= f.l + 2),
-gone AS (SELECT doc_id, array_agg(DISTINCT g) AS g FROM (SELECT doc_id, unnest([ln, ln + 1]) AS g FROM copies) GROUP BY doc_id),
+pairs AS (SELECT doc_id, ln, 2 AS n, parts[ln + 1] AS a, parts[ln + 2] AS b FROM lines WHERE ln + 2 <= len(parts)
+  UNION ALL SELECT doc_id, ln, 1, parts[ln + 1], NULL FROM lines WHERE len(regexp_extract_all(parts[ln + 1], '[^\x00-\x20]+')) >= 50),
+firsts AS (SELECT doc_id, ln, n, first_value(struct_pack(d := doc_id, l := ln)) OVER (PARTITION BY n, a, b ORDER BY doc_id, ln) AS f FROM pairs),
+copies AS (SELECT * FROM firsts WHERE doc_id <> f.d OR ln >= f.l + n),
+gone AS (SELECT doc_id, array_agg(DISTINCT g) AS g FROM (SELECT doc_id, unnest(range(ln, ln + n)) AS g FROM copies) GROUP BY doc_id),
 src AS (SELECT doc_id, list_sort(array_agg(DISTINCT f.d)) AS s FROM copies GROUP BY doc_id),
 cut AS (
   SELECT d.*, coalesce(len(g), 0) AS n_gone, coalesce(s, []::BIGINT[]) AS s, g,
@@ -80,7 +82,7 @@ SELECT doc_id, left_text AS text, lang, source, CASE WHEN g IS NULL THEN n_chars
        CAST(n_gone AS INTEGER) AS removed_lines, s AS copied_from FROM cut""",
     "op6_exact_dedup": """
 SELECT doc_id, text, lang, source, n_chars FROM (
-  SELECT *, row_number() OVER (PARTITION BY text ORDER BY doc_id) AS turn FROM documents)
+  SELECT *, row_number() OVER (PARTITION BY text ORDER BY source IS DISTINCT FROM 'src0', doc_id) AS turn FROM documents)
 WHERE text IS NULL OR turn = 1""",
     "op7_suffix_dedup": """
 WITH w AS (SELECT doc_id, text, regexp_extract_all(text, '[^\\x00-\\x20]+') AS words FROM documents),

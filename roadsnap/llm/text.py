@@ -143,6 +143,17 @@ def drop_columns(df, names):
     return df.select([df[f"`{c}`"] for c in df.columns if c.lower() not in low])
 
 
+def fresh(df, *names):
+    """The given names, each with underscores in front until no column of `df` has it (in any case)."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for n in names:
+        while n.lower() in taken:
+            n = "_" + n
+        taken.add(n.lower())
+        out.append(n)
+    return out
+
+
 def with_fields(df, **extra):
     """Schema of a frame and further fields, each given by the name of its type."""
     from pyspark.sql.types import StructField, StructType, _parse_datatype_string
