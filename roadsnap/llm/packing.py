@@ -5,11 +5,16 @@ A level array counts the partly filled windows by fill level.  Every arriving pi
 full leaves the array.  Ties go to the fuller level, of one level's windows to the one opened first.
 A text longer than a window fills whole windows and arrives with its rest.
 
-Texts are dealt to shards by the hash of their doc_id, a shard is packed in doc_id order, and shards
-are independent; a shard has about `per_shard` texts, so what its packing loses is bounded and small.
+Texts are dealt to shards of consecutive doc_ids (`per_shard` of them), so where a text goes depends neither on the
+number of rows nor on texts of other shards, and a table that grows keeps its packing but for its last shard.  Where
+doc_ids are sparse, `shards` deals by their hash instead, to a number that the caller fixes.  A shard is packed
+in doc_id order; what it loses are its last partly filled windows.
 
-Defined results: a text without tokens (null, empty) has one row with window null and 0 tokens;
-rows that share a doc_id are packed one after the other; a null doc_id comes first.
+A row of the result is a piece of a text with its ids, so `windows` only has to put pieces together.
+
+Defined results: a text without tokens (null, empty) has one row with window null, no ids and 0 tokens; rows that
+share a doc_id are packed one after the other, the shorter first; a null doc_id comes first; a text of any length
+is cut to as many windows as it fills; only doc_id and text are read, so other columns do not matter.
 """
 
 from __future__ import annotations
@@ -18,12 +23,13 @@ from collections import defaultdict, deque
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame, functions as F
 
-from . import tokens as tok
+from . import text as tk, tokens as tok
 
 WINDOW = 2048
-PER_SHARD = 50_000
+PER_SHARD = 10_000
 
 
 class Packer:
@@ -68,34 +74,50 @@ class Packer:
         return out
 
 
-SCHEMA = "doc_id long, piece int, shard int, window int, position int, n_tokens int"
+SCHEMA = "doc_id long, piece int, shard long, window int, position int, n_tokens int, ids array<int>"
+
+
+def place_all(sizes, window: int = WINDOW):
+    """(text, piece, window, position, tokens) of texts of these sizes in order, as arrays; window -1: no tokens."""
+    packer, cells = Packer(window), []
+    for i, size in enumerate(sizes):
+        cells += [(i, j, *g) for j, g in enumerate(packer.add(size) or [(-1, -1, 0)])]
+    return np.array(cells, np.int64).reshape(-1, 5).T
 
 
 def _pack_shard(window):
     def run(key, table):
-        table = table.sort_by([("doc_id", "ascending"), ("n_tokens", "ascending")])
-        ids, sizes = table.column("doc_id"), table.column("n_tokens").to_pylist()
-        packer, row, cells = Packer(window), [], []
-        for i, size in enumerate(sizes):
-            got = packer.add(size) or [(None, None, 0)]
-            row += [i] * len(got)
-            cells += [(j, *g) for j, g in enumerate(got)]
-        cols = list(zip(*cells)) if cells else [[]] * 4
+        table = table.take(pa.compute.sort_indices(table, sort_keys=[("doc_id", "ascending"), ("n_tokens", "ascending")], null_placement="at_start"))
+        text, piece, at, position, size = place_all(table.column("n_tokens").to_pylist(), window)
+        # texts and their pieces are in order now, so the ids of all pieces follow each other
+        ids, none = table.column("ids").combine_chunks().flatten(), at < 0
         return pa.table(
-            [ids.take(pa.array(row, pa.int64())), pa.array(cols[0], pa.int32()), pa.array([key[0].as_py()] * len(row), pa.int32()), *(pa.array(c, pa.int32()) for c in cols[1:])],
-            names=["doc_id", "piece", "shard", "window", "position", "n_tokens"],
-        )
+            [table.column("doc_id").take(pa.array(text)), pa.array(piece, pa.int32()), pa.array(np.full(len(text), key[0].as_py()), pa.int64()),
+             pa.array(at.astype(np.int32), pa.int32(), mask=none), pa.array(position.astype(np.int32), pa.int32(), mask=none), pa.array(size, pa.int32()),
+             pa.ListArray.from_arrays(pa.array(np.append(0, np.cumsum(size)), pa.int32()), ids)],
+            names=["doc_id", "piece", "shard", "window", "position", "n_tokens", "ids"],
+        )
 
     return run
 
 
-def pack_lengths(lengths: DataFrame, shards: int, window: int = WINDOW) -> DataFrame:
-    """Pack rows of (doc_id, n_tokens)."""
-    dealt = lengths.withColumn("shard", F.pmod(F.xxhash64("doc_id"), F.lit(shards)).cast("int"))
-    return dealt.select("doc_id", "n_tokens", "shard").groupBy("shard").applyInArrow(_pack_shard(window), SCHEMA)
+def pack_ids(coded: DataFrame, window: int = WINDOW, per_shard: int = PER_SHARD, shards: int | None = None) -> DataFrame:
+    """Pack rows of (doc_id, n_tokens, ids)."""
+    spark = coded.sparkSession
+    by = F.expr(f"floor(doc_id / {per_shard})") if shards is None else F.pmod(F.xxhash64("doc_id"), F.lit(shards))
+    dealt = coded.select("doc_id", "n_tokens", "ids", F.coalesce(by.cast("long"), F.lit(-1)).alias("shard"))
+    # a fixed number of partitions: shards are few and heavy, and would else be put together in one task
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    return dealt.repartition(parts, "shard").groupBy("shard").applyInArrow(_pack_shard(window), SCHEMA)
+
+
+def pack(docs: DataFrame, window: int = WINDOW, folder: str = tok.TOKENIZERS, per_shard: int = PER_SHARD, shards: int | None = None) -> DataFrame:
+    """Windows of the texts' byte-level BPE ids: a row for each piece of a text, with its ids."""
+    return pack_ids(tok.token_ids(docs, folder), window, per_shard, shards)
 
 
-def pack(docs: DataFrame, window: int = WINDOW, folder: str = tok.TOKENIZERS, per_shard: int = PER_SHARD) -> DataFrame:
-    """Windows of the texts' byte-level BPE ids: a row for each piece of a text."""
-    shards = max(1, -(-docs.count() // per_shard))
-    return pack_lengths(tok.count_tokens(docs, folder), shards, window)
+def windows(pieces: DataFrame) -> DataFrame:
+    """(shard, window, doc_ids, ids): the windows themselves, each with the texts it holds in order."""
+    part = F.sort_array(F.collect_list(F.struct("position", "doc_id", "ids")))
+    held = pieces.filter("window is not null").groupBy("shard", "window").agg(part.alias("p"))
+    return held.select("shard", "window", F.transform("p", lambda p: p["doc_id"]).alias("doc_ids"), F.flatten(F.transform("p", lambda p: p["ids"])).alias("ids"))

@@ -8,7 +8,8 @@ says whether the id goes on; level 1 holds the next chunk of those that do, and
 set-bit counts before every 512 bits gives the place in the next level, so the i-th id of a text is
 read from one place per level, without decoding anything else.
 
-Defined results: a null or empty text has no ids and a blob with no level.
+Defined results: a null or empty text has no ids and a blob with no level; every row has one row in the result,
+with its doc_id as it is, null and repeated ones too; a text of any length is read whole; other columns are not read.
 """
 
 from __future__ import annotations
@@ -178,15 +179,15 @@ def write_codes(docs: DataFrame, folder: str = TOKENIZERS, bits: int = CHUNK_BIT
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n_tokens int, codes binary")
 
 
-def count_tokens(docs: DataFrame, folder: str = TOKENIZERS) -> DataFrame:
-    """(doc_id, n_tokens) of every row."""
+def token_ids(docs: DataFrame, folder: str = TOKENIZERS) -> DataFrame:
+    """(doc_id, n_tokens, ids) of every row."""
     ranks = docs.sparkSession.sparkContext.broadcast(load_bpe(folder))
 
     def run(batches):
         tokenizer = Tokenizer(ranks.value)
         for b in batches:
             for lo, hi, data, offsets in tk.pieces(*tk.utf8(b.column("text"))):
-                _, off = tokenizer.encode(data, offsets)
-                yield pa.RecordBatch.from_arrays([b.column("doc_id").slice(lo, hi - lo), pa.array(np.diff(off), pa.int32())], names=["doc_id", "n_tokens"])
+                ids, off = tokenizer.encode(data, offsets)
+                yield pa.RecordBatch.from_arrays([b.column("doc_id").slice(lo, hi - lo), pa.array(np.diff(off), pa.int32()), tk.list_array(ids, off, pa.int32())], names=["doc_id", "n_tokens", "ids"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n_tokens int")
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n_tokens int, ids array<int>")
