@@ -13,7 +13,8 @@ component; then hubs leave the bucket, and a bucket whose members are all in one
 with equal shingle counts are one node throughout.  Of every connected group the least doc_id stays.
 
 Defined results: a null or empty text has no shingle and stays; a text of fewer than `k` words is one
-shingle; rows that share a doc_id stay or go together; a row with a null doc_id stays.
+shingle; rows that share a doc_id stay or go together, and the first of their texts is compared; a row with a null
+doc_id stays; texts of any length are read whole; extra columns may have any name and come back as they are.
 """
 
 from __future__ import annotations
@@ -118,18 +119,18 @@ def sketch(docs: DataFrame, k: int = K, m: int = REGISTERS, rows: int = ROWS) ->
 
 
 def shingle_sets(docs: DataFrame, k: int = K) -> DataFrame:
-    """(doc_id, sh: sorted shingle hashes of 32 bits, each as often as it occurs)."""
+    """(doc_id, sh: sorted shingle hashes of 48 bits, each as often as it occurs)."""
 
     def run(batches):
         hasher = tk.SpanHash(1)
         for b in batches:
             for lo, hi, data, offsets in tk.pieces(*tk.utf8(b.column("text"))):
                 e, r, c = weighted_shingles(data, offsets, k, hasher)
-                e, r = np.repeat(e >> np.uint64(16), c), np.repeat(r, c)
+                e, r = np.repeat(e, c), np.repeat(r, c)
                 off = np.searchsorted(r, np.arange(hi - lo + 1))
-                yield pa.RecordBatch.from_arrays([b.column("doc_id").slice(lo, hi - lo), tk.list_array(e.astype(np.uint32).view(np.int32), off, pa.int32())], names=["doc_id", "sh"])
+                yield pa.RecordBatch.from_arrays([b.column("doc_id").slice(lo, hi - lo), tk.list_array(e.view(np.int64), off, pa.int64())], names=["doc_id", "sh"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, sh array<int>")
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, sh array<long>")
 
 
 def _similar(batches):
@@ -137,7 +138,7 @@ def _similar(batches):
         sets = []
         for name in ("x", "y"):
             col = b.column(name)
-            sets.append((col.flatten().to_numpy(zero_copy_only=False).view(np.uint32), col.offsets.to_numpy() - col.offsets[0].as_py()))
+            sets.append((col.flatten().to_numpy(zero_copy_only=False), col.offsets.to_numpy() - col.offsets[0].as_py()))
         (xv, xo), (yv, yo) = sets
         out = []
         for i in range(b.num_rows):
@@ -212,5 +213,6 @@ def components(edges: DataFrame) -> DataFrame:
 def dedup(docs: DataFrame, threshold: float = THRESHOLD, k: int = K, m: int = REGISTERS, rows: int = ROWS) -> DataFrame:
     """The rows of `docs` that stay: all without a near copy, and one doc_id of each group."""
     found = components(pairs(docs, threshold, k, m, rows))
-    gone = keep(found.filter("doc_id != root").select(F.col("doc_id").alias("__id")), "gone")
-    return docs.join(gone, docs["doc_id"] == gone["__id"], "left_anti")
+    (key,) = tk.fresh(docs, "id")
+    gone = keep(found.filter("doc_id != root").select(F.col("doc_id").alias(key)), "gone")
+    return docs.join(gone, docs["doc_id"] == gone[key], "left_anti")

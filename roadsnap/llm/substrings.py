@@ -2,16 +2,21 @@
 
 Every window of `length` words belongs to the least of its word 8-gram hashes (its anchor), which depends on
 the window's words alone; so equal windows meet under one anchor wherever they are.  Consecutive windows of one
-anchor are one segment.  Segments that are equal as a whole need no sorting.  Where segments of one anchor
-differ, the distinct ones go to a shard (by anchor), whose suffix array is induced: suffixes are classified,
-leftmost-smaller substrings are sorted and named, the reduced string is solved recursively, and the rest is
-induced from it in linear time.  Permuted longest common prefixes then give the intervals of suffixes that share
-`length` words.  A window is a later copy if the first equal window, by (doc_id, word), is another one
-that it does not overlap; all words of later copies are deleted.
-
-Nothing is cut: texts are read whole, and only windows whose anchor occurs once in the corpus are set aside, as
-they cannot repeat.  Defined results: null and empty texts, and texts shorter than a window, stay; rows that
-share a doc_id count as one text; a row with a null doc_id stays as it is.
+anchor are one segment.  Segments whose anchor occurs once are set aside, as their windows cannot repeat; of all others
+the distinct ones go to a shard (by anchor), where one stands for all that are equal to it, as their suffixes would only
+stand side by side.  The shard's suffix array is induced: suffixes are classified, leftmost-smaller substrings are sorted
+and named, the reduced string is solved recursively, and the rest is induced from it in linear time.  Permuted longest
+common prefixes then give the intervals of suffixes that share `length` words.  A window is a later copy if the first
+equal window, by (doc_id, word), is another one that it does not overlap; all words of later copies are deleted.
+
+An anchor with more distinct segments than a shard should hold (a line that stands in very many different surroundings)
+is split: its windows go by their first and last 8-gram too, again by their own words alone, each as a segment,
+and those that are alone there are set aside.  So no task grows with how often a passage occurs.
+
+Nothing is cut: texts are read whole.  Defined results: null and empty texts, and texts shorter than a window, stay;
+rows that repeat both doc_id and text count as one text (the same words go from each); rows that share a doc_id only are
+different texts, ordered by a hash of theirs; null doc_ids come first; extra columns may have any name, but removed_words
+and copied_from are replaced.
 """
 
 from __future__ import annotations
@@ -167,45 +172,75 @@ def segments(data, offsets, hasher, length=LENGTH, gram=GRAM):
     return r[first], begin - base, count, g[a[first]], whole
 
 
+#: What stands for a null doc_id within this module.
+NULL = -(1 << 63)
+TEXT = ["did", "rid"]
+
+
+def _ids():
+    return F.coalesce("doc_id", F.lit(NULL)).alias("did"), F.xxhash64("doc_id", "text").alias("rid")
+
+
 def _segment_rows(docs, length, gram):
     def run(batches):
         hasher = tk.SpanHash(31)
         for b in batches:
             for lo, hi, data, offsets in tk.pieces(*tk.utf8(b.column("text"))):
                 r, start, count, anchor, whole = segments(data, offsets, hasher, length, gram)
-                ids = b.column("doc_id").slice(lo, hi - lo).take(pa.array(r))
+                r = pa.array(r)
+                ids = [b.column(c).slice(lo, hi - lo).take(r) for c in TEXT]
                 yield pa.RecordBatch.from_arrays(
-                    [ids, pa.array(start, pa.int32()), pa.array(count, pa.int32()), pa.array(anchor.view(np.int64)), pa.array(whole.view(np.int64))], names=["doc_id", "start", "n", "anchor", "whole"]
+                    [*ids, pa.array(start, pa.int32()), pa.array(count, pa.int32()), pa.array(anchor.view(np.int64)), pa.array(whole.view(np.int64))], names=[*TEXT, "start", "n", "anchor", "whole"]
                 )
 
-    return docs.filter("doc_id is not null").select("doc_id", "text").mapInArrow(run, "doc_id long, start int, n int, anchor long, whole long")
+    return docs.filter("text is not null").select(*_ids(), "text").mapInArrow(run, "did long, rid long, start int, n int, anchor long, whole long")
 
 
-def _fetch(asked, length):
-    """Words of the asked segments, from their texts."""
+def _fetch(asked, length, gram):
+    """Words of the asked segments, from their texts; those of split anchors window by window under keys of their own."""
 
     def run(batches):
         hasher = tk.SpanHash(31)
         for b in batches:
-            asks = b.column("asks").to_pylist()
+            asks, did, rid = b.column("asks"), b.column("did").to_numpy(), b.column("rid").to_numpy()
+            begin, ask = asks.offsets.to_numpy() - asks.offsets[0].as_py(), asks.flatten()
+            anchor, start, n, split = (ask.field(c).to_numpy(zero_copy_only=False) for c in ("anchor", "start", "n", "split"))
             for lo, hi, data, offsets in tk.pieces(*tk.utf8(b.column("text"))):
                 starts, ends, rows = tk.words(data, offsets)
-                h = hasher(data, starts, ends).view(np.int64)
+                h = hasher(data, starts, ends)
                 base = np.searchsorted(rows, np.arange(hi - lo + 1))
-                out = [(a["anchor"], b.column("doc_id")[i].as_py(), a["start"], a["n"], h[base[i - lo] + a["start"] : min(base[i - lo] + a["start"] + a["n"] + length - 1, base[i - lo + 1])]) for i in range(lo, hi) for a in asks[i]]
-                out = [x for x in out if len(x[4]) == x[3] + length - 1]
-                cols = list(zip(*out)) if out else [[]] * 5
-                off = np.concatenate([[0], np.cumsum([len(x) for x in cols[4]])]).astype(np.int64)
+                mine = np.arange(begin[lo], begin[hi])
+                row = np.repeat(np.arange(lo, hi), np.diff(begin[lo : hi + 1]))
+                at, count, key = base[row - lo] + start[mine], n[mine].astype(np.int64), anchor[mine].copy()
+                apart = split[mine].astype(bool)
+                if apart.any():  # every window by itself
+                    times = np.where(apart, count, 1)
+                    which = np.repeat(np.arange(len(mine)), times)
+                    turn = np.arange(len(which)) - np.repeat(np.cumsum(times) - times, times)
+                    at, row, key = at[which] + turn, row[which], key[which]
+                    count, apart = np.where(apart[which], 1, count[which]), apart[which]
+                    first, last = np.zeros(apart.sum(), np.uint64), np.zeros(apart.sum(), np.uint64)
+                    for j in range(gram):
+                        first, last = first * tk.BASE + h[at[apart] + j], last * tk.BASE + h[at[apart] + length - gram + j]
+                    key[apart] = tk.mix(tk.mix(first + tk.mix(last)) + key[apart].view(np.uint64)).view(np.int64)
+                size = count + length - 1
+                words, off = _spans(h.view(np.int64), at, size)
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.int32()), pa.array(cols[3], pa.int32()), tk.list_array(np.concatenate(cols[4]) if len(out) else np.empty(0, np.int64), off, pa.int64())],
-                    names=["anchor", "doc_id", "start", "n", "words"],
+                    [pa.array(key), pa.array(did[row]), pa.array(rid[row]), pa.array(at - base[row - lo], pa.int32()), pa.array(count, pa.int32()), pa.array(apart), tk.list_array(words, off, pa.int64())],
+                    names=["anchor", *TEXT, "start", "n", "split", "words"],
                 )
 
-    return asked.mapInArrow(run, "anchor long, doc_id long, start int, n int, words array<long>")
+    return asked.mapInArrow(run, "anchor long, did long, rid long, start int, n int, split boolean, words array<long>")
 
 
-def later_copies(anchor, doc, start, count, words, offsets, length):
-    """Of a shard's segments, the runs of windows that are later copies: (doc, start, windows, first doc)."""
+def _spans(values, at, size):
+    """The ranges [at, at + size) of `values` one after the other, and where each begins."""
+    off = np.append(0, np.cumsum(size))
+    return values[np.arange(off[-1]) + np.repeat(at - off[:-1], size)], off
+
+
+def later_copies(doc, start, count, words, offsets, length):
+    """Of a shard's segments, the runs of windows that are later copies: (doc, start, windows, first doc); `doc` numbers texts in order."""
     empty = tuple(np.empty(0, np.int64) for _ in range(4))
     m = len(doc)
     if m < 2:
@@ -249,37 +284,50 @@ def _sort_shard(length):
         lists = table.column("words").combine_chunks()
         offsets = lists.offsets.to_numpy().astype(np.int64)
         col = lambda n: table.column(n).to_numpy().astype(np.int64)
-        out = later_copies(col("anchor"), col("doc_id"), col("start"), col("n"), lists.flatten().to_numpy(), offsets - offsets[0], length)
-        return pa.table([pa.array(out[0], pa.int64()), pa.array(out[1], pa.int32()), pa.array(out[2], pa.int32()), pa.array(out[3], pa.int64())], names=["doc_id", "start", "n", "first_doc"])
+        did, rid = col("did"), col("rid")
+        order = np.lexsort((rid, did))
+        new = np.append(True, (np.diff(did[order]) != 0) | (np.diff(rid[order]) != 0))
+        doc = np.empty(len(did), np.int64)
+        doc[order] = np.cumsum(new) - 1
+        did, rid = did[order][new], rid[order][new]
+        d, p, n, f = later_copies(doc, col("start"), col("n"), lists.flatten().to_numpy(), offsets - offsets[0], length)
+        return pa.table([pa.array(did[d]), pa.array(rid[d]), pa.array(p, pa.int32()), pa.array(n, pa.int32()), pa.array(did[f])], names=["did", "rid", "start", "n", "first_did"])
 
     return run
 
 
-def repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
-    """(doc_id, start, n, first_doc): runs of n windows, from word `start` on, that are later copies."""
+def repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, per_shard: int = SEGMENTS_PER_SHARD) -> DataFrame:
+    """(did, rid, start, n, first_did): runs of n windows, from word `start` on, that are later copies.
+
+    `per_shard`: about how many segments are sorted together; what is found does not depend on it.
+    """
     by_anchor = Window.partitionBy("anchor")
-    rows = _segment_rows(docs, length, gram).withColumn("total", F.count("*").over(by_anchor)).filter("total > 1")
-    rows = rows.withColumn("several", F.min("whole").over(by_anchor) != F.max("whole").over(by_anchor))
-    same = Window.partitionBy("anchor", "whole", "n")
-    rows = keep(rows.withColumn("first", F.min(F.struct("doc_id", "start")).over(same)).select("doc_id", "start", "n", "anchor", "several", F.col("first.doc_id").alias("first_doc"), F.col("first.start").alias("first_start")), "segments")
-    is_first = (F.col("doc_id") == F.col("first_doc")) & (F.col("start") == F.col("first_start"))
-    overlaps = (F.col("doc_id") == F.col("first_doc")) & (F.col("start") < F.col("first_start") + length)
-    whole = rows.filter(~overlaps).select("doc_id", "start", "n", "first_doc")
-    asked = keep(rows.filter(F.col("several") & (is_first | overlaps)).select("doc_id", "start", "n", "anchor").distinct(), "asked")
-    shards = max(1, -(-asked.count() // SEGMENTS_PER_SHARD))
-    asks = asked.groupBy("doc_id").agg(F.collect_list(F.struct("anchor", "start", "n")).alias("asks"))
-    texts = docs.filter("doc_id is not null and text is not null").select("doc_id", "text").join(asks, "doc_id")
-    words = _fetch(texts, length).withColumn("shard", F.pmod(F.xxhash64("anchor"), F.lit(shards)))
-    sorted_ = words.groupBy("shard").applyInArrow(_sort_shard(length), "doc_id long, start int, n int, first_doc long")
+    rows = _segment_rows(docs, length, gram).withColumn("total", F.count("*").over(by_anchor)).filter("total > 1").drop("total")
+    rows = rows.withColumn("first", F.min(F.struct(*TEXT, "start")).over(Window.partitionBy("anchor", "whole", "n")))
+    same_text = (F.col("did") == F.col("first.did")) & (F.col("rid") == F.col("first.rid"))
+    rows = rows.withColumn("alike", F.when(same_text & (F.col("start") < F.col("first.start") + length), F.lit(0)).otherwise(1))
+    # alike: 1 for a segment that the first equal one stands for, which all of its windows repeat
+    rows = rows.withColumn("split", F.sum(1 - F.col("alike")).over(by_anchor) > per_shard)
+    rows = keep(rows.select(*TEXT, "start", "n", "anchor", "alike", "split", F.col("first.did").alias("first_did")), "segments")
+    whole = rows.filter("alike = 1").select(*TEXT, "start", "n", "first_did")
+    asked = keep(rows.filter("alike = 0").select(*TEXT, "start", "n", "anchor", "split").distinct(), "asked")
+    shards = max(1, -(-asked.count() // per_shard))
+    asks = asked.groupBy(*TEXT).agg(F.collect_list(F.struct("anchor", "start", "n", "split")).alias("asks"))
+    texts = docs.filter("text is not null").select(*_ids(), "text").join(asks, TEXT)  # of a repeated row the words come twice, which tells nothing new
+    words = _fetch(texts, length, gram)
+    single = words.filter("split").withColumn("total", F.count("*").over(by_anchor)).filter("total > 1").drop("total")
+    words = words.filter("not split").unionByName(single) if not asked.filter("split").isEmpty() else words
+    words = words.withColumn("shard", F.pmod(F.xxhash64("anchor"), F.lit(shards)))
+    sorted_ = words.groupBy("shard").applyInArrow(_sort_shard(length), "did long, rid long, start int, n int, first_did long")
     out = keep(whole.unionByName(sorted_), "copies")
     drop(rows, asked)
     return out
 
 
-def _cut(names, length):
+def _cut(names, spans_name, length):
     def run(batches):
         for b in batches:
-            spans, texts = b.column("__spans"), b.column("text")
+            spans, texts = b.column(spans_name), b.column("text")
             rows = np.flatnonzero(spans.is_valid().to_numpy(zero_copy_only=False) & texts.is_valid().to_numpy(zero_copy_only=False))
             new, removed, source = {}, np.zeros(b.num_rows, np.int64), [[] for _ in range(b.num_rows)]
             for i in rows:
@@ -300,7 +348,7 @@ def _cut(names, length):
                     at = keep_from[e]
                 new[int(i)] = b"".join([*out, raw[at:]]).decode("utf-8", "replace")
                 removed[i] = gone.sum()
-                source[int(i)] = sorted({x["first_doc"] for x in spans[int(i)].as_py()})
+                source[int(i)] = sorted({x["first_did"] for x in spans[int(i)].as_py()} - {NULL})
             cols = []
             mask = np.zeros(b.num_rows, bool)
             mask[list(new)] = True
@@ -315,10 +363,13 @@ def _cut(names, length):
     return run
 
 
-def dedup(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
+def dedup(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, per_shard: int = SEGMENTS_PER_SHARD) -> DataFrame:
     """`docs` without later copies of passages; also removed_words and copied_from (doc_ids that have them first)."""
     docs = tk.drop_columns(docs, ["removed_words", "copied_from"])
-    found = repeats(docs, length, gram)
-    spans = keep(found.groupBy("doc_id").agg(F.collect_list(F.struct("start", "n", "first_doc")).alias("__spans")).withColumnRenamed("doc_id", "__id"), "spans")
-    both = docs.join(spans, docs["doc_id"] == spans["__id"], "left").drop("__id")
-    return tk.map_arrow(both, _cut(docs.columns, length), tk.with_fields(docs, removed_words="long", copied_from="array<long>"))
+    found = repeats(docs, length, gram, per_shard)
+    spans, did, rid = tk.fresh(docs, "spans", "did", "rid")
+    held = found.groupBy(*TEXT).agg(F.collect_list(F.struct("start", "n", "first_did")).alias(spans))
+    held = keep(held.toDF(did, rid, spans), "spans")
+    mine = [c.alias(n) for c, n in zip(_ids(), TEXT)]
+    both = docs.join(held.hint("shuffle_hash"), (mine[0] == held[did]) & (mine[1] == held[rid]), "left").select([docs[f"`{c}`"] for c in docs.columns] + [held[spans]])
+    return tk.map_arrow(both, _cut(docs.columns, spans, length), tk.with_fields(docs, removed_words="long", copied_from="array<long>"))
