@@ -5,19 +5,30 @@ from __future__ import annotations
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """Write and read back: later rounds of a loop start from files, so a lost executor repeats one round only.
-
-    The folder is the session's spark.checkpoint.dir; a local one is made only where that is unset.
-    """
-    spark = df.sparkSession
+def shared_dir(spark: SparkSession) -> str:
+    """The session's spark.checkpoint.dir; a local folder is made only where that is unset, once a session."""
     place = spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or spark.conf.get("roadsnap.loops.dir", None)
     if not place:
         place = f"file://{tempfile.mkdtemp(prefix='roadsnap-loops-')}"
         spark.conf.set("roadsnap.loops.dir", place)
-    path = f"{place.rstrip('/')}/round-{uuid.uuid4().hex}"
+    return place.rstrip("/")
+
+
+def cut(df: DataFrame) -> DataFrame:
+    """Write and read back: later rounds of a loop start from files, so a lost executor repeats one round only."""
+    spark = df.sparkSession
+    path = f"{shared_dir(spark)}/round-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
+
+
+def drop(*frames: DataFrame) -> None:
+    """Delete what cut() wrote, once nothing reads it any more."""
+    for df in frames:
+        spark = df.sparkSession
+        for folder in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
+            path = spark._jvm.org.apache.hadoop.fs.Path(folder)
+            path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)

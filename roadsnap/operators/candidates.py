@@ -5,6 +5,8 @@ Draws are md5 texts of (seed, candidate, step, edge), so that any engine repeats
 
 from __future__ import annotations
 
+import warnings
+
 from pyspark.sql import DataFrame, Window, functions as F
 
 from ..functions.shared import cut
@@ -16,9 +18,13 @@ def draw(seed: int, cand: str, step, eid: str):
     return F.md5(F.concat_ws("|", F.lit(seed), F.col(cand), step, F.col(eid)).cast("binary"))
 
 
-def starts(edges: DataFrame, regioned: DataFrame, quotas: DataFrame, seed: int, oversample: int = 4, l_min: int = L_MIN, l_max: int = L_MAX) -> DataFrame:
-    """First edges: candidates are numbered by (region, turn); each has a length target drawn in [l_min, l_max]."""
-    turn = quotas.filter("quota > 0").select("region", F.explode(F.sequence(F.lit(0), (F.col("quota") * oversample - 1).cast("int"))).alias("turn"))
+def starts(edges: DataFrame, regioned: DataFrame, quotas: DataFrame, seed: int, oversample: int = 4, l_min: int = L_MIN, l_max: int = L_MAX, again: int = 0) -> DataFrame:
+    """First edges: candidates are numbered by (region, turn); each has a length target drawn in [l_min, l_max].
+
+    `again` draws the turns after so many times those of the first draw.
+    """
+    size = (F.col("quota") * oversample).cast("int")
+    turn = quotas.filter("quota > 0").select("region", F.explode(F.sequence(size * again, size * (again + 1) - 1)).alias("turn"))
     cand = turn.select("region", (F.col("region") * 1000000 + F.col("turn")).cast("bigint").alias("cand"))
     eta = F.lit(l_min) + F.conv(F.substring(F.md5(F.concat_ws("|", F.lit(seed), F.col("cand"), F.lit("eta")).cast("binary")), 1, 8), 16, 10).cast("bigint") % (l_max - l_min + 1)
     placed = edges.join(regioned.select(F.col("vid").alias("src"), "region"), "src")
@@ -110,18 +116,29 @@ def path_cv(costs: DataFrame) -> DataFrame:
     return cv(costs.select(F.col("pid").alias("eid"), F.col("d_ms").alias("w_ms"))).withColumnRenamed("eid", "pid")
 
 
-def select(kind: str, edges: DataFrame, regioned: DataFrame, pnum: int, cvs: DataFrame | None = None, seed: int = 42, top_share: float = 0.3, floor_share: float = 0.5, max_jaccard: float = 0.3, **kw) -> DataFrame:
-    """Typical paths of one kind: random, constrained (on the most variable edges only) or greedy."""
+def select(kind: str, edges: DataFrame, regioned: DataFrame, pnum: int, cvs: DataFrame | None = None, seed: int = 42, top_share: float = 0.3, floor_share: float = 0.5, max_jaccard: float = 0.3, draws: int = 6, **kw) -> DataFrame:
+    """Typical paths of one kind: random, constrained (on the most variable edges only) or greedy.
+
+    Regions that stay below their quota draw further turns, up to `draws` times, as walks may end early or be too much
+    alike; what is still missing then is told by a warning.
+    """
     from .edgevec import cv_filter
     from .regions import quota
 
     quotas = quota(regioned, pnum)
     if kind == "constrained":
         edges = edges.join(cv_filter(cvs, top_share=top_share), "eid", "left_semi")
-    begun = starts(edges, regioned, quotas, seed)
-    if kind == "greedy":
-        floor = cv_filter(cvs, top_share=floor_share).agg(F.min("cv")).first()[0]
-        grown = grow(edges, begun, seed, cvs, floor, **kw)
-    else:
-        grown = grow(edges, begun, seed, **kw)
-    return dedup(valid(grown), quotas, max_jaccard)
+    floor = cv_filter(cvs, top_share=floor_share).agg(F.min("cv")).first()[0] if kind == "greedy" else None
+    edges, quotas, short, every = cut(edges), cut(quotas), None, None
+    for again in range(draws):
+        begun = starts(edges, regioned, quotas if short is None else short, seed, again=again)
+        grown = cut(valid(grow(edges, begun, seed, cvs if kind == "greedy" else None, floor, **kw)))
+        every = grown if every is None else every.unionByName(grown)
+        kept = cut(dedup(every, quotas, max_jaccard))
+        have = kept.groupBy("region").agg(F.count("*").alias("have"))
+        short = cut(quotas.join(have, "region", "left").filter(F.coalesce("have", F.lit(0)) < F.col("quota")).select("region", "quota"))
+        if short.isEmpty():
+            return kept
+    missing = pnum - kept.count()
+    warnings.warn(f"{missing} of {pnum} typical paths were not found in {draws} draws", stacklevel=2)
+    return kept

@@ -27,13 +27,19 @@ def collect_vectors(rep: DataFrame) -> tuple[np.ndarray, np.ndarray]:
     return np.array([r["snap"] for r in rows]), np.array([r["x"] for r in rows], float).reshape(len(rows), -1)
 
 
-def collect_distances(dist: DataFrame) -> tuple[np.ndarray, np.ndarray]:
-    """(snapshot ids, symmetric matrix) of rows (i, j, dist), i < j."""
+def collect_distances(dist: DataFrame, snaps: DataFrame | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """(snapshot ids, symmetric matrix) of rows (i, j, dist), i < j.
+
+    `snaps` (snap) names all snapshots, as one without any pair is in no row of `dist`; a pair that `dist` lacks is
+    infinitely far apart.  Both are counted before anything is collected.
+    """
+    every = dist.select("i").union(dist.select("j")).distinct() if snaps is None else snaps.select("snap").distinct()
+    ids = np.array(sorted(r[0] for r in every.limit(MAX_N + 1).collect()), np.int64)
+    _check(len(ids))
     table = dist.select("i", "j", "dist").toArrow()
     i, j, d = (table.column(c).to_numpy() for c in ("i", "j", "dist"))
-    ids = np.union1d(i, j)
-    _check(len(ids))
-    out = np.zeros((len(ids), len(ids)))
+    out = np.full((len(ids), len(ids)), np.inf)
+    np.fill_diagonal(out, 0)
     a, b = np.searchsorted(ids, i), np.searchsorted(ids, j)
     out[a, b] = out[b, a] = d
     return ids, out
@@ -108,14 +114,14 @@ def kmeans_ml(rep: DataFrame, k: int, seed: int = 42) -> DataFrame:
     return KMeans(k=k, seed=seed).fit(wide).transform(wide).select("snap", F.col("prediction").alias("cluster"))
 
 
-def lloyd(rep: DataFrame, centres: DataFrame, rounds: int) -> DataFrame:
+def lloyd(rep: DataFrame, centres: DataFrame, rounds: int, digits: int = 9) -> DataFrame:
     """(snap, cluster, d2) after relational rounds from centres (cluster, dim, val): k x dims rows are broadcast."""
     for turn in range(rounds):
         gap = rep.join(F.broadcast(centres.select("cluster", "dim", F.col("val").alias("c"))), "dim")
         far = gap.groupBy("snap", "cluster").agg(F.round(F.sum((F.col("val") - F.col("c")) * (F.col("val") - F.col("c"))), 6).alias("d2"))
         label = far.groupBy("snap").agg(F.min(F.struct("d2", "cluster")).alias("best")).select("snap", "best.cluster", "best.d2")
         if turn + 1 < rounds:
-            centres = cut(rep.join(label, "snap").groupBy("cluster", "dim").agg(F.round(F.avg("val"), 9).alias("val")))
+            centres = cut(rep.join(label, "snap").groupBy("cluster", "dim").agg(F.round(F.avg("val"), digits).alias("val")))
     return label
 
 
@@ -161,9 +167,9 @@ def medoids(ids: np.ndarray, d: np.ndarray, label: np.ndarray, rule: str = "max"
     return typ, far
 
 
-def agglomerative(dist: DataFrame, linkage: str = "complete", tau: float | None = None, k: int | None = None, rule: str = "max") -> DataFrame:
-    """(snap, cluster, typ, dist) of rows (i, j, dist)."""
-    ids, d = collect_distances(dist)
+def agglomerative(dist: DataFrame, linkage: str = "complete", tau: float | None = None, k: int | None = None, rule: str = "max", snaps: DataFrame | None = None) -> DataFrame:
+    """(snap, cluster, typ, dist) of rows (i, j, dist); `snaps` (snap) adds those that are in no row."""
+    ids, d = collect_distances(dist, snaps)
     label = agglomerate(d, linkage, tau, k)
     return _frame(dist.sparkSession, ids, label, *medoids(ids, d, label, rule))
 

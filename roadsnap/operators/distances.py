@@ -4,6 +4,8 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, functions as F
 
+from ..functions.shared import cut
+
 
 def euclidean(rep: DataFrame, other: DataFrame | None = None) -> DataFrame:
     """(i, j, dist) of vectors (snap, dim, val): all pairs i < j, or all of `rep` against `other`."""
@@ -47,6 +49,59 @@ def sets(rep: DataFrame, kind: str = "jaccard") -> DataFrame:
     return cell.groupBy("i", "j").agg(value.alias("dist"))
 
 
+def sets_packed(rep: DataFrame, n: int) -> DataFrame:
+    """sets(rep, 'jaccard') of n snapshots numbered from 0, by one task per typical vertex and one exchange.
+
+    A vertex's sets are the rows of a 0/1 matrix, whose product with itself holds all common sizes; sums over the
+    vertices of a task leave it once.  The self-join of `sets` forms n * n rows for every reached vertex instead.
+    """
+    import numpy as np
+    import pyarrow as pa
+
+    cells = rep.groupBy("vid").agg(F.collect_list(F.struct("snap", "reached")).alias("cells"))
+
+    def run(batches):
+        total, many = np.zeros((n, n), np.int64), np.zeros((n, n), np.int64)
+        for b in batches:
+            for i in range(b.num_rows):
+                cell = b.column("cells").slice(i, 1).flatten()
+                snap, member = cell.field("snap").to_numpy(), cell.field("reached").to_numpy()
+                ids, at = np.unique(member, return_inverse=True)
+                m = np.zeros((n, len(ids)), np.float32)
+                m[snap, at] = 1
+                both = np.rint(m @ m.T).astype(np.int64)
+                size = np.diag(both)
+                either = size[:, None] + size[None, :] - both
+                met = both > 0
+                total[met] += both[met] * 1_000_000_000 // either[met]
+                many[met] += 1
+        i, j = np.nonzero(np.triu(many, 1))
+        yield pa.RecordBatch.from_arrays([pa.array(i, pa.int32()), pa.array(j, pa.int32()), pa.array(total[i, j]), pa.array(many[i, j])], names=["i", "j", "s", "c"])
+
+    part = cells.select("cells").mapInArrow(run, "i int, j int, s bigint, c bigint").groupBy("i", "j").agg(F.sum("s").alias("s"), F.sum("c").alias("c"))
+    return part.select("i", "j", F.round(1 - F.col("s") / F.col("c") / 1e9, 6).alias("dist"))
+
+
+def close_sets(sets: DataFrame, limit: float) -> DataFrame:
+    """(a, b, dist) of rows (id, kind, members) of one kind whose Jaccard distance is at most `limit`, exactly.
+
+    Members are ordered from rare to frequent; two sets as close as that share one of the first n - ceil((1 - limit) n) + 1
+    of each (n members), so only those meet in the join, and sizes rule pairs out before the sets are compared.
+    """
+    share = 1 - limit
+    each = sets.select("id", "kind", F.explode("members").alias("m"))
+    often = each.groupBy("kind", "m").agg(F.count("*").alias("n"))
+    ranked = each.join(often, ["kind", "m"]).groupBy("id", "kind").agg(F.sort_array(F.collect_list(F.struct("n", "m"))).alias("r"))
+    ranked = cut(ranked.select("id", "kind", F.transform("r", lambda x: x["m"]).alias("members"), F.size("r").alias("n")))
+    first = F.slice("members", 1, F.col("n") - F.ceil(F.col("n") * share - 1e-9).cast("int") + 1)
+    keys = ranked.select("id", "kind", "n", F.explode(first).alias("m"))
+    x, y = keys.selectExpr("id as a", "kind", "n as na", "m"), keys.selectExpr("id as b", "kind", "n as nb", "m")
+    pairs = x.join(y, ["kind", "m"]).filter(f"a < b and least(na, nb) >= {share} * greatest(na, nb) - 1e-9").select("a", "b").distinct()
+    both = pairs.join(ranked.selectExpr("id as a", "members as x"), "a").join(ranked.selectExpr("id as b", "members as y"), "b")
+    both = both.select("a", "b", F.size(F.array_intersect("x", "y")).alias("m"), (F.size("x") + F.size("y")).alias("s"))
+    return both.filter(F.col("m") >= share * (F.col("s") - F.col("m")) - 1e-9).select("a", "b", F.round(1 - F.col("m") / (F.col("s") - F.col("m")), 6).alias("dist"))
+
+
 def edit(w: DataFrame, tol_ms: int = 0) -> DataFrame:
     """(i, j, edits, l1): edges whose weight moves by more than `tol_ms`, and the sum of moves; topology is fixed."""
     a = w.select(F.col("snap").alias("i"), "eid", F.col("w_ms").alias("x"))

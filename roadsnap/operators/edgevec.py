@@ -20,10 +20,11 @@ def delta(w: DataFrame, ref: int = 0) -> DataFrame:
 
 def cv(w: DataFrame, ddof: int = 0) -> DataFrame:
     """(eid, cv): standard deviation over mean of an edge's weights, from exact integer sums."""
-    s, q, n = F.sum("w_ms"), F.sum(F.col("w_ms") * F.col("w_ms")), F.count("*")
+    w_ms = F.col("w_ms").cast("decimal(19,0)")  # squares of long travel times leave 64 bits
+    s, q, n = F.sum("w_ms").cast("decimal(38,0)"), F.sum((w_ms * w_ms).cast("decimal(38,0)")), F.count("*").cast("decimal(10,0)")
     sums = w.groupBy("eid").agg(s.alias("s"), q.alias("q"), n.alias("n"))
-    spread = F.sqrt((F.col("n") * F.col("q") - F.col("s") * F.col("s")).cast("double") * (F.lit(1.0) if ddof == 0 else F.col("n") / F.nullif(F.col("n") - 1, F.lit(0))))
-    return sums.select("eid", F.round(spread / F.col("s"), 9).alias("cv"))
+    spread = F.sqrt(((F.col("n") * F.col("q")).cast("decimal(38,0)") - (F.col("s") * F.col("s")).cast("decimal(38,0)")).cast("double") * (F.lit(1.0) if ddof == 0 else F.col("n").cast("double") / F.nullif(F.col("n") - 1, F.lit(0))))
+    return sums.select("eid", F.round(spread / F.col("s").cast("double"), 9).alias("cv"))
 
 
 def cv_filter(cvs: DataFrame, min_cv: float | None = None, top_share: float | None = None) -> DataFrame:

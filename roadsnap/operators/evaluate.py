@@ -23,7 +23,13 @@ def pair_error(costs: DataFrame, pairs: DataFrame) -> DataFrame:
 
 
 def error_matrix(cost_rows: DataFrame, n: int, band: int | None = None) -> DataFrame:
-    """(typ, act, err) for all pairs at most `band` apart, from one row of n costs per path.
+    """(typ, act, err) for all pairs at most `band` apart: the means of error_sums()."""
+    part = error_sums(cost_rows, n, band)
+    return part.select("typ", "act", F.round(F.col("s") / F.col("c") / SCALE, 9).alias("err"))
+
+
+def error_sums(cost_rows: DataFrame, n: int, band: int | None = None) -> DataFrame:
+    """(typ, act, s, c): sums and numbers of path errors for pairs at most `band` apart, from one row of n costs per path.
 
     Every task adds its rows to an n x n table and emits it once: what travels is tasks x n x band
     numbers, however many paths there are.
@@ -48,7 +54,7 @@ def error_matrix(cost_rows: DataFrame, n: int, band: int | None = None) -> DataF
             yield pa.RecordBatch.from_arrays([pa.array(t, pa.int32()), pa.array(a, pa.int32()), pa.array(total[t, a]), pa.array(np.full(len(t), count, np.int64))], names=["typ", "act", "s", "c"])
 
     part = cost_rows.select("d").mapInArrow(run, "typ int, act int, s bigint, c bigint")
-    return part.groupBy("typ", "act").agg(F.sum("s").alias("s"), F.sum("c").alias("c")).select("typ", "act", F.round(F.col("s") / F.col("c") / SCALE, 9).alias("err"))
+    return part.groupBy("typ", "act").agg(F.sum("s").alias("s"), F.sum("c").alias("c"))
 
 
 def assigned_error(selection: DataFrame, errors: DataFrame) -> DataFrame:
@@ -58,12 +64,13 @@ def assigned_error(selection: DataFrame, errors: DataFrame) -> DataFrame:
 
 
 def selection_error(selection: DataFrame, errors: DataFrame) -> DataFrame:
-    """One row: k, mean and worst error over all snapshots, and the mean over those that are not typical."""
+    """One row: k, mean, 95 % quantile and worst of the errors over all snapshots, and the mean over those that are not typical."""
     each = assigned_error(selection, errors)
     scaled = F.round(F.col("err") * SCALE).cast("bigint")
     return each.agg(
         F.countDistinct("typ").alias("k"),
         F.round(F.sum(scaled) / F.count("*") / SCALE, 6).alias("mean_err"),
+        F.round(F.percentile("err", F.lit(0.95)), 6).alias("p95_err"),
         F.round(F.max("err"), 6).alias("max_err"),
         F.round(F.sum(F.when(F.col("snap") != F.col("typ"), scaled)) / F.nullif(F.count_if(F.col("snap") != F.col("typ")), F.lit(0)) / SCALE, 6).alias("mean_err_others"),
     )

@@ -31,25 +31,31 @@ def fluctuation(block: DataFrame) -> DataFrame:
     return sums.select("vid", F.round(F.sqrt((F.col("n") * F.col("q") - F.col("s") * F.col("s")).cast("double")) / F.col("s").cast("double"), 6).alias("f"))
 
 
+def cover_radius(rule: str, r_ms: int) -> int:
+    """How wide the covers are that `select` needs: twice the radius to keep vertices out of them, once to keep them apart."""
+    return r_ms if rule == "disjoint_r" else 2 * r_ms
+
+
 def select(f: DataFrame, q: int, cover=None, rule: str = "in_2r") -> DataFrame:
     """(rank, vid, f): most fluctuating vertices first, without those too close to a chosen one.
 
-    `cover(vids)` gives (origin, reached) of a batch of candidates over all snapshots, so the wide search runs for
-    candidates only.  in_2r: a vertex inside a chosen one's cover is left out; disjoint_r: covers must
-    not meet; none: no exclusion.  Fewer than q come back, with a warning, when no vertex is left.
+    `cover(vids)` gives (origin, reached) of a batch of candidates over all snapshots (see cover_radius), so the wide
+    search runs for candidates only.  in_2r: a vertex inside a chosen one's cover is left out; disjoint_r: covers must
+    not meet; none: no exclusion.  Batches double, so an exhausted pool of N vertices takes log N searches, and each
+    starts where the one before it ended in the order.  Fewer than q come back, with a warning, when no vertex is left.
     """
     spark = f.sparkSession
-    ranked = f.orderBy(F.desc("f"), "vid")
     if rule == "none":
-        rows = [(i, r["vid"], r["f"]) for i, r in enumerate(ranked.limit(q).collect())]
+        rows = [(i, r["vid"], r["f"]) for i, r in enumerate(f.orderBy(F.desc("f"), "vid").limit(q).collect())]
         return spark.createDataFrame(rows, "rank int, vid bigint, f double")
-    chosen, taken, offset, size = [], set(), 0, 4 * q
+    chosen, taken, after, size = [], set(), None, 4 * q
     while len(chosen) < q:
-        batch = ranked.offset(offset).limit(size).collect()
+        rest = f if after is None else f.filter((F.col("f") < after["f"]) | ((F.col("f") == after["f"]) & (F.col("vid") > after["vid"])))
+        batch = rest.orderBy(F.desc("f"), "vid").limit(size).collect()
         if not batch:
             warnings.warn(f"only {len(chosen)} of {q} vertices are far enough from each other", stacklevel=2)
             break
-        offset += size
+        after, size = batch[-1], 2 * size
         open_ = [r for r in batch if r["vid"] not in taken] if rule == "in_2r" else batch
         if not open_:
             continue

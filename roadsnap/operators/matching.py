@@ -15,9 +15,16 @@ def represent_edges(typical_paths: DataFrame, weights: DataFrame) -> DataFrame:
     return paths.represent(typical_paths, weights)
 
 
-def represent_vertices(edges: DataFrame, weights: DataFrame, typical: DataFrame, r_ms: int, largest: DataFrame | None = None, kind: str = "set") -> DataFrame:
-    """Vertex form of new snapshots: as many bounded searches as there are typical vertices."""
-    reached = reach.bounded(edges, weights, typical.select("vid"), r_ms)
+def represent_vertices(edges: DataFrame, weights: DataFrame, typical: DataFrame, r_ms: int, largest: DataFrame | None = None, kind: str = "set", near: DataFrame | None = None) -> DataFrame:
+    """Vertex form of new snapshots: as many bounded searches as there are typical vertices.
+
+    `near`, the typical vertices' reach.neighbourhood(), is made once with the model; with it all searches of a snapshot
+    run in one kernel over the few edges that they can use, and without it they run on the whole network.
+    """
+    if near is None:
+        reached = reach.bounded(edges, weights, typical.select("vid"), r_ms)
+    else:
+        reached = reach.around(near, weights, typical.select("vid"), r_ms)
     if kind == "set":
         return hotspots.rep_set(reached, typical)
     return hotspots.rep_bc(hotspots.block_coef(hotspots.sizes(reached), largest), typical)
@@ -64,17 +71,17 @@ def decide_in_order(rep: DataFrame, typical: DataFrame, tau: float) -> DataFrame
     return rep.sparkSession.createDataFrame(rows, "snap int, typ int, dist double, is_new boolean")
 
 
-def replay(dist: DataFrame, tau: float, initial: tuple[int, ...] = ()) -> DataFrame:
+def replay(dist: DataFrame, tau: float, initial: tuple[int, ...] = (), snaps: DataFrame | None = None) -> DataFrame:
     """(snap, typ, dist, is_new) in time order: every snapshot meets only what became typical before it."""
     from .clustering import collect_distances
 
-    ids, d = collect_distances(dist)
+    ids, d = collect_distances(dist, snaps)
     place = {int(s): i for i, s in enumerate(ids)}
     typical, rows = [place[s] for s in initial], []
     for i, s in enumerate(ids):
         best = min(typical, key=lambda t: (d[i, t], t), default=None)
         if best is None or d[i, best] > tau:
-            rows.append((int(s), int(s), None if best is None else float(d[i, best]), True))
+            rows.append((int(s), int(s), None if best is None or np.isinf(d[i, best]) else float(d[i, best]), True))
             typical.append(i)
         else:
             rows.append((int(s), int(ids[best]), float(d[i, best]), False))
@@ -97,11 +104,6 @@ def load_model(spark, folder: str, version: int) -> tuple[DataFrame, dict]:
     return spark.read.parquet(f"{folder}/version={version}/reps"), json.loads(manifest["params"])
 
 
-def distance_evaluations(n_new: int, k: int) -> int:
-    """Matching compares each new snapshot with k typical ones, whatever the form."""
-    return n_new * k
-
-
 def linear_fit(k: list[int], seconds: list[float]) -> tuple[float, float]:
     """(conversion time, time of one similarity): least squares of seconds = t_r + k * t_sim."""
     slope, level = np.polyfit(k, seconds, 1)

@@ -6,7 +6,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from ..functions.shared import cut
+from ..functions.shared import cut, drop
 
 FAR = np.iinfo(np.int64).max
 
@@ -18,22 +18,39 @@ def arcs(edges: DataFrame, weights: DataFrame) -> DataFrame:
 def bounded(edges: DataFrame, weights: DataFrame, origins: DataFrame, r_ms: int, engine: str = "loop", vertices: DataFrame | None = None, cell: int = 16) -> DataFrame:
     """(snap, origin, reached, dist_ms) with dist_ms <= r_ms; every origin reaches itself.
 
-    loop: rounds of one join and one aggregate on (snap, at), for any graph.  block: one exchange; map cells with a
-    halo as wide as `r_ms` allows are searched in one kernel each, for graphs whose edges join neighbouring coordinates.
+    loop: rounds of one join and one aggregate on (snap, at).  block: vertices are cut to cells of the map, and one exchange
+    brings each cell what its origins can ever reach, to be searched in one kernel.  Both hold for any graph with
+    weights of 0 or more and give the same rows.
     """
     if engine == "block":
         return _blocks(edges, weights, origins, r_ms, vertices, cell)
-    arc = cut(arcs(edges, weights))
     front = weights.select("snap").distinct().crossJoin(origins.select(F.col("vid").alias("origin"))).select("snap", "origin", F.col("origin").alias("reached"), F.lit(0).cast("bigint").alias("dist_ms"))
+    arc = cut(arcs(edges, weights))
+    best = _rounds(front, arc, ["snap", "origin"], ["snap"], r_ms)
+    drop(arc)
+    return best
+
+
+def sizes(edges: DataFrame, weights: DataFrame, origins: DataFrame, r_ms: int, vertices: DataFrame, cell: int = 16) -> DataFrame:
+    """(snap, vid, size): how many vertices each origin reaches. The sets stay in the kernels; only counts are written."""
+    return _blocks(edges, weights, origins, r_ms, vertices, cell, "sizes")
+
+
+def _rounds(front, arc, keys, on, r_ms):
+    """Label correcting: (keys, reached, dist_ms) from a front of such rows and arcs (on, src, dst, w_ms)."""
+    arc = arc.withColumnRenamed("src", "reached")
     best = front = cut(front)
     while True:
-        step = front.join(arc, (front["snap"] == arc["snap"]) & (front["reached"] == arc["src"])).select(front["snap"], "origin", F.col("dst").alias("reached"), (F.col("dist_ms") + F.col("w_ms")).alias("dist_ms"))
-        step = step.filter(F.col("dist_ms") <= r_ms).groupBy("snap", "origin", "reached").agg(F.min("dist_ms").alias("dist_ms"))
+        step = front.join(arc, [*on, "reached"]).select(*keys, F.col("dst").alias("reached"), (F.col("dist_ms") + F.col("w_ms")).alias("dist_ms"))
+        step = step.filter(F.col("dist_ms") <= r_ms).groupBy(*keys, "reached").agg(F.min("dist_ms").alias("dist_ms"))
         known = best.withColumnRenamed("dist_ms", "had")
-        front = cut(step.join(known, ["snap", "origin", "reached"], "left").filter("had is null or dist_ms < had").drop("had"))
-        if front.isEmpty():
+        new = cut(step.join(known, [*keys, "reached"], "left").filter("had is null or dist_ms < had").drop("had"))
+        if new.isEmpty():
+            drop(new)
             return best
-        best = cut(best.unionByName(front).groupBy("snap", "origin", "reached").agg(F.min("dist_ms").alias("dist_ms")))
+        better = cut(best.unionByName(new).groupBy(*keys, "reached").agg(F.min("dist_ms").alias("dist_ms")))
+        drop(*({id(x): x for x in (best, front)}.values()))
+        best, front = better, new
 
 
 def hops(edges: DataFrame, origins: DataFrame, n: int) -> DataFrame:
@@ -42,33 +59,82 @@ def hops(edges: DataFrame, origins: DataFrame, n: int) -> DataFrame:
     return bounded(edges, unit, origins, n).select("origin", "reached", F.col("dist_ms").alias("hop"))
 
 
-def _blocks(edges, weights, origins, r_ms, vertices, cell):
-    """Two passes: on each edge's least weight, what a cell's origins can ever reach; then every snapshot on just that."""
-    spread = arcs(edges, weights)
-    floor = cut(weights.groupBy("eid").agg(F.min("w_ms").alias("w_ms")).select(F.lit(0).alias("snap"), "eid", "w_ms"))
-    least = floor.agg(F.min("w_ms")).first()[0] or 1
-    halo = int(r_ms // max(1, least)) + 1  # no search goes further than this many neighbouring cells
+def least(weights: DataFrame) -> DataFrame:
+    """(snap = 0, eid, w_ms): each edge's least weight over all snapshots, below which no search can be faster."""
+    return weights.groupBy("eid").agg(F.min("w_ms").alias("w_ms")).select(F.lit(0).alias("snap"), "eid", "w_ms")
+
+
+#: A halo of so many cells at most is cut out by coordinates; what reaches further is searched for cell by cell.
+WIDE = 4
+
+
+def _blocks(edges, weights, origins, r_ms, vertices, cell, emit="sets"):
+    """Two passes: on each edge's least weight, what a cell's origins can ever reach; then every snapshot on just that.
+
+    No way of travel time r leads further than r over the least travel time per step of the map (an edge's
+    least weight over the larger of its two coordinate differences).  Where that halo is narrow it is cut out by
+    coordinates; where some edge is long or fast, rounds over whole cells tell the same.
+    """
+    floor = cut(least(weights))
     at = vertices.select("vid", "x", "y")
-    near = at.select(
-        F.col("vid").alias("src"),
-        F.explode(F.expr(f"sequence((x - {halo}) div {cell} - 1, (x + {halo}) div {cell})")).alias("cx"), "x", "y",
-    ).select("src", "cx", "x", F.explode(F.expr(f"sequence((y - {halo}) div {cell} - 1, (y + {halo}) div {cell})")).alias("cy"), "y")
-    near = near.filter(f"x between cx * {cell} - {halo} and cx * {cell} + {cell - 1 + halo} and y between cy * {cell} - {halo} and cy * {cell} + {cell - 1 + halo}").select("src", "cx", "cy")
-    mine = cut(origins.select("vid").join(at, "vid").select(F.expr(f"x div {cell}").alias("cx"), F.expr(f"y div {cell}").alias("cy"), F.col("vid").alias("src")))
-    near = near.join(mine.select("cx", "cy").distinct(), ["cx", "cy"], "left_semi").select("src", "cx", "cy")
-    ever = _search(arcs(edges, floor), near, mine, floor, r_ms)
-    near = cut(ever.join(mine.withColumnRenamed("src", "origin"), "origin").select(F.col("reached").alias("src"), "cx", "cy").distinct())
-    return _search(spread, near, mine, weights, r_ms)
-
-
-def _search(spread, near, mine, weights, r_ms):
+    slow = arcs(edges, floor)
+    a, b = at.selectExpr("vid as src", "x as xa", "y as ya"), at.selectExpr("vid as dst", "x as xb", "y as yb")
+    step = F.greatest(F.abs(F.col("xa") - F.col("xb")), F.abs(F.col("ya") - F.col("yb")))
+    rate = slow.join(a, "src").join(b, "dst").select("w_ms", step.alias("step")).filter("step > 0 and w_ms <= " + str(int(r_ms))).agg(F.min(F.col("w_ms") / F.col("step"))).first()[0]
+    halo = 0 if rate is None else None if rate <= 0 or r_ms / rate > WIDE * cell else int(r_ms / rate) + 1
+    place = lambda c: F.floor(F.col(c) / cell).cast("bigint")
+    mine = cut(origins.select("vid").distinct().join(at, "vid").select(place("x").alias("cx"), place("y").alias("cy"), F.col("vid").alias("src")))
+    if halo is None:
+        start = mine.select("cx", "cy", F.col("src").alias("reached"), F.lit(0).cast("bigint").alias("dist_ms"))
+        near = _rounds(start, cut(slow.drop("snap")), ["cx", "cy"], [], r_ms).select(F.col("reached").alias("src"), "cx", "cy")
+    else:
+        span = lambda c: F.explode(F.sequence(F.floor((F.col(c) - halo) / cell).cast("bigint"), F.floor((F.col(c) + halo) / cell).cast("bigint")))
+        near = at.select(F.col("vid").alias("src"), span("x").alias("cx"), "y").select("src", "cx", span("y").alias("cy"))
+        near = near.join(mine.select("cx", "cy").distinct(), ["cx", "cy"], "left_semi").select("src", "cx", "cy")
+        ever = _search(slow, near, mine, floor.select("snap").distinct(), r_ms)
+        near = cut(ever.join(mine.withColumnRenamed("src", "origin"), "origin").select(F.col("reached").alias("src"), "cx", "cy").distinct())
+    return _search(arcs(edges, weights), near, mine, weights.select("snap").distinct(), r_ms, emit)
+
+
+def neighbourhood(edges: DataFrame, weights: DataFrame, origins: DataFrame, r_ms: int, slack: float = 0.5) -> DataFrame:
+    """(eid, src, dst, lower): the edges that any origin can use within r_ms, for searches in snapshots still to come.
+
+    They may be faster than all of `weights`, but not below `lower`, the least weight times `slack`.
+    """
+    floor = least(weights).select("eid", F.floor(F.col("w_ms") * slack).cast("bigint").alias("lower"))
+    arc = cut(edges.select("eid", "src", "dst").join(floor, "eid"))
+    start = origins.select(F.lit(0).alias("all"), F.col("vid").alias("reached"), F.lit(0).cast("bigint").alias("dist_ms"))
+    ever = _rounds(start, arc.select("src", "dst", F.col("lower").alias("w_ms")), ["all"], [], r_ms)
+    return arc.join(ever.select(F.col("reached").alias("src")), "src", "left_semi")
+
+
+def around(near: DataFrame, weights: DataFrame, origins: DataFrame, r_ms: int) -> DataFrame:
+    """(snap, origin, reached, dist_ms) of few origins in new snapshots, on their neighbourhood(): one task per snapshot.
+
+    A weight below the neighbourhood's bound raises an error, as the search might then leave it.
+    """
+    below = F.raise_error("a weight is below the bound of the neighbourhood: build it anew").cast("bigint")
+    few = weights.join(F.broadcast(near), "eid")  # q vertices and what is around them
+    rows = few.select("snap", F.lit(0).alias("cx"), F.lit(0).alias("cy"), "src", "dst", F.when(F.col("w_ms") < F.col("lower"), below).otherwise(F.col("w_ms")).alias("w_ms"))
+    mine = origins.select(F.lit(0).alias("cx"), F.lit(0).alias("cy"), F.col("vid").alias("src"))
+    return _kernel(rows, mine, weights.select("snap").distinct(), r_ms, "sets")
+
+
+def _search(spread, near, mine, snaps, r_ms, emit="sets"):
     """One task for each snapshot and cell: `near` tells whose outgoing arcs a cell needs, `mine` its origins."""
-    snaps = weights.select("snap").distinct()
-    wanted = mine.crossJoin(snaps).select("snap", "cx", "cy", "src", F.lit(None).cast("bigint").alias("dst"), F.lit(None).cast("bigint").alias("w_ms"))
-    rows = spread.join(near, "src").select("snap", "cx", "cy", "src", "dst", "w_ms")
+    return _kernel(spread.join(near, "src").select("snap", "cx", "cy", "src", "dst", "w_ms"), mine, snaps, r_ms, emit)
+
+
+#: Cells of the dense (origin, vertex) table that are worked on at once.
+DENSE = 1 << 22
+
+
+def _kernel(rows, mine, snaps, r_ms, emit):
+    null = F.lit(None).cast("bigint")
+    wanted = mine.crossJoin(snaps).select("snap", "cx", "cy", "src", null.alias("dst"), null.alias("w_ms"))
 
     def search(key, table):
-        """All origins of a cell at once: a dense (origin, vertex) table and rounds over what just improved."""
+        """Origins of a cell together: a dense (origin, vertex) table and rounds over what just improved."""
         src, w = table.column("src").to_numpy(), table.column("w_ms").to_numpy()
         dst = table.column("dst").to_numpy()
         own = np.asarray(table.column("dst").is_null())
@@ -77,24 +143,31 @@ def _search(spread, near, mine, weights, r_ms):
         order = np.argsort(tail, kind="stable")
         head, cost = head[order], w[~own][order].astype(np.int64)
         first = np.searchsorted(tail[order], np.arange(len(ids) + 1))
-        m, at = len(ids), np.searchsorted(ids, src[own])
-        best = np.full(len(at) * m, FAR, np.int64)
-        front = np.arange(len(at)) * m + at
-        best[front] = 0
-        while len(front):
-            v = front % m
-            deg = first[v + 1] - first[v]
-            arc = np.arange(deg.sum()) + np.repeat(first[v] - np.concatenate([[0], np.cumsum(deg)[:-1]]), deg)
-            reach_ = np.repeat(best[front], deg) + cost[arc]
-            to = np.repeat(front - v, deg) + head[arc]
-            better = (reach_ <= r_ms) & (reach_ < best[to])
-            to, reach_ = to[better], reach_[better]
-            np.minimum.at(best, to, reach_)
-            front = np.unique(to)
-        hit = np.flatnonzero(best < FAR)
-        return pa.table(
-            [pa.array(np.full(len(hit), key[0].as_py()), pa.int32()), pa.array(ids[at[hit // m]], pa.int64()), pa.array(ids[hit % m], pa.int64()), pa.array(best[hit])],
-            names=["snap", "origin", "reached", "dist_ms"],
-        )
-
-    return rows.unionByName(wanted).groupBy("snap", "cx", "cy").applyInArrow(search, "snap int, origin bigint, reached bigint, dist_ms bigint")
+        m, every = len(ids), np.unique(np.searchsorted(ids, src[own]))
+        out, some = [], max(1, DENSE // max(1, m))
+        for lo in range(0, len(every), some):
+            at = every[lo : lo + some]
+            best = np.full(len(at) * m, FAR, np.int64)
+            front = np.arange(len(at)) * m + at
+            best[front] = 0
+            while len(front):
+                v = front % m
+                deg = first[v + 1] - first[v]
+                arc = np.arange(deg.sum()) + np.repeat(first[v] - np.concatenate([[0], np.cumsum(deg)[:-1]]), deg)
+                reach_ = np.repeat(best[front], deg) + cost[arc]
+                to = np.repeat(front - v, deg) + head[arc]
+                better = (reach_ <= r_ms) & (reach_ < best[to])
+                to, reach_ = to[better], reach_[better]
+                np.minimum.at(best, to, reach_)
+                front = np.unique(to)
+            if emit == "sizes":
+                out.append((ids[at], (best.reshape(len(at), m) < FAR).sum(1)))
+            else:
+                hit = np.flatnonzero(best < FAR)
+                out.append((ids[at[hit // m]], ids[hit % m], best[hit]))
+        cols = [np.concatenate(c) for c in zip(*out)] if out else [np.empty(0, np.int64)] * (2 if emit == "sizes" else 3)
+        snap = pa.array(np.full(len(cols[0]), key[0].as_py()), pa.int32())
+        return pa.table([snap, *(pa.array(c, pa.int64()) for c in cols)], names=names)
+
+    names = ["snap", "vid", "size"] if emit == "sizes" else ["snap", "origin", "reached", "dist_ms"]
+    return rows.unionByName(wanted).groupBy("snap", "cx", "cy").applyInArrow(search, ", ".join(f"{n} {'int' if n == 'snap' else 'bigint'}" for n in names))

@@ -8,7 +8,7 @@ import numpy as np
 from pyspark.sql import DataFrame, functions as F
 
 from ..functions.shared import cut
-from ..operators import baselines, candidates, clustering, distances, edgevec, hotspots, paths, reach, regions, temporal
+from ..operators import baselines, candidates, clustering, distances, edgevec, hotspots, paths, reach, regions, snapshots, temporal
 from ..sources.nets import Network
 
 METHODS = (
@@ -49,7 +49,7 @@ class Study:
         """(typ, act, err) over all trajectories."""
         from ..operators.evaluate import error_matrix
 
-        return self.once("errors", lambda: cut(error_matrix(paths.cost_packed(self.net.paths, packed(self.weights)), self.n)))
+        return self.once("errors", lambda: cut(error_matrix(paths.cost_packed(self.net.paths, snapshots.packed(self.weights)), self.n)))
 
     @property
     def matrix(self) -> np.ndarray:
@@ -60,18 +60,33 @@ class Study:
         return self.once("cvs", lambda: cut(edgevec.cv(self.weights)))
 
     @property
-    def reached(self) -> DataFrame:
-        make = lambda: cut(reach.bounded(self.edges, self.weights, self.net.vertices, self.r_ms, "block", self.net.vertices))
-        return self.once("reached", make)
+    def sizes(self) -> DataFrame:
+        """(snap, vid, size) of all vertices; the sets are formed for typical vertices only."""
+        return self.once("sizes", lambda: cut(reach.sizes(self.edges, self.weights, self.net.vertices, self.r_ms, self.net.vertices)))
 
     @property
     def block(self) -> DataFrame:
-        return self.once("block", lambda: cut(hotspots.block_coef(hotspots.sizes(self.reached))))
+        return self.once("block", lambda: cut(hotspots.block_coef(self.sizes)))
+
+    @property
+    def fluctuation(self) -> DataFrame:
+        return self.once("fluctuation", lambda: cut(hotspots.fluctuation(self.block)))
 
     def typical_vertices(self, q: int | None = None, rule: str = "in_2r") -> DataFrame:
-        cover = lambda ids: reach.bounded(self.edges, self.weights, ids, 2 * self.r_ms, "block", self.net.vertices)
+        """The q most fluctuating vertices: those of a larger q that was asked for before begin with them."""
         q = q or self.q
-        return self.once(f"hot {q} {rule}", lambda: hotspots.select(hotspots.fluctuation(self.block), q, cover, rule))
+        wide = max([q, *(int(k.split()[1]) for k in self.held if k.startswith("hot ") and k.endswith(rule))])
+        r = hotspots.cover_radius(rule, self.r_ms)
+        cover = lambda ids: reach.bounded(self.edges, self.weights, ids, r, "block", self.net.vertices)
+        return self.once(f"hot {wide} {rule}", lambda: cut(hotspots.select(self.fluctuation, wide, cover, rule))).filter(F.col("rank") < q)
+
+    def typical_sets(self, q: int | None = None, rule: str = "in_2r") -> DataFrame:
+        """(snap, vid, reached) around the typical vertices."""
+        hot, q = self.typical_vertices(q, rule), q or self.q
+        wide = max(int(k.split()[1]) for k in self.held if k.startswith("hot ") and k.endswith(rule))
+        search = lambda: cut(reach.bounded(self.edges, self.weights, self.typical_vertices(wide, rule).select("vid"), self.r_ms, "block", self.net.vertices))
+        reached = self.once(f"reached {wide} {rule}", search)
+        return self.once(f"rep {q} {rule}", lambda: cut(hotspots.rep_set(reached, hot)))
 
     def typical_paths(self, kind: str) -> DataFrame:
         def make():
@@ -89,14 +104,12 @@ class Study:
         return self.once(f"rep {delta} {filtered} {pca}", make)
 
 
-def packed(weights: DataFrame) -> DataFrame:
-    from ..operators.snapshots import packed as pack
-
-    return pack(weights)
-
+def select_typical(study: Study, method: str, k: int | None = None, q: int | None = None, tau: float | None = None, rule: str = "in_2r") -> DataFrame:
+    """(snap, cluster, typ, dist) of a named method; `dist` is null for selections by time.
 
-def select_typical(study: Study, method: str, k: int, q: int | None = None) -> DataFrame:
-    """(snap, cluster, typ, dist) of a named method; `dist` is null for selections by time."""
+    With `tau` instead of k, methods that cluster stop at that distance: K-means gains centres until all members are
+    within it, and agglomeration merges while clusters are.
+    """
     spark = study.net.edges.sparkSession
     snaps = study.net.snapshots.select("snap")
 
@@ -111,34 +124,51 @@ def select_typical(study: Study, method: str, k: int, q: int | None = None) -> D
         found = temporal.windows(study.matrix, temporal.eps_for_k(study.matrix, k))
         return by_time(temporal.members(spark.createDataFrame(found, "lo int, hi int, typ int, worst double")))
     edge = {"edge_pca": (False, False, True), "edge_delta_pca": (True, False, True), "edge_cv_pca": (False, True, True), "edge_delta_cv_pca": (True, True, True)}
+    means = lambda rep: clustering.kmeans(rep, k) if tau is None else clustering.adaptive_kmeans(rep, tau)
+    merged = lambda dist: clustering.agglomerative(dist, k=k, tau=tau, snaps=snaps)
     if method in edge:
-        return clustering.kmeans(study.edge_rep(*edge[method]), k)
+        return means(study.edge_rep(*edge[method]))
     if method in ("edge_cv", "edge_raw"):
-        dist = study.once(method, lambda: cut(distances.from_gram(edgevec.gram(study.edge_rep(False, method == "edge_cv", False), study.n))))
-        return clustering.agglomerative(dist, k=k)
+        return merged(distance_of(study, method))
     if method.startswith("paths_"):
         rep = study.once(f"rep {method}", lambda: cut(paths.represent(study.typical_paths(method.removeprefix("paths_")), study.weights)))
-        return clustering.kmeans(rep, k)
-    hot = study.typical_vertices(q)
-    if method == "vertex_set":
-        dist = study.once(f"sets {q}", lambda: cut(distances.sets(hotspots.rep_set(study.reached, hot))))
-        return clustering.agglomerative(dist, k=k)
-    rep = study.once(f"bc {q}", lambda: cut(hotspots.rep_bc(study.block, hot)))
+        return means(rep)
+    if method in ("vertex_set", "vertex_bc_hier"):
+        return merged(distance_of(study, method, q, rule))
     if method == "vertex_bc_kmeans":
-        return clustering.kmeans(rep, k)
-    if method == "vertex_bc_hier":
-        return clustering.agglomerative(distances.euclidean(rep), k=k)
+        return means(bc_of(study, q, rule))
     raise ValueError(f"unknown method {method!r}")
 
 
-def curve(study: Study, methods, ks, q: int | None = None) -> DataFrame:
-    """(method, q, k, k_found, mean_err, max_err): error of each method at each number of typical snapshots."""
-    spark = study.net.edges.sparkSession
-    m, rows = study.matrix, []
-    for method in methods:
-        for k in ks:
-            picked = select_typical(study, method, k, q).select("snap", "typ").toArrow()  # n rows
-            snap, typ = picked.column("snap").to_numpy(), picked.column("typ").to_numpy()
-            err = m[typ, snap]
-            rows.append((method, q or study.q, int(k), len(set(typ.tolist())), round(float(err.mean()), 6), round(float(err.max()), 6)))
-    return spark.createDataFrame(rows, "method string, q int, k int, k_found int, mean_err double, max_err double")
+def bc_of(study: Study, q: int | None = None, rule: str = "in_2r") -> DataFrame:
+    return study.once(f"bc {q} {rule}", lambda: cut(hotspots.rep_bc(study.block, study.typical_vertices(q, rule))))
+
+
+def distance_of(study: Study, method: str, q: int | None = None, rule: str = "in_2r") -> DataFrame:
+    """(i, j, dist) between the snapshots as a hierarchical method represents them."""
+    make = {
+        "vertex_set": lambda: distances.sets_packed(study.typical_sets(q, rule), study.n),
+        "vertex_bc_hier": lambda: distances.from_gram(edgevec.gram(bc_of(study, q, rule), study.n)),
+        "edge_cv": lambda: distances.from_gram(edgevec.gram(study.edge_rep(False, True, False), study.n)),
+        "edge_raw": lambda: distances.from_gram(edgevec.gram(study.edge_rep(False, False, False), study.n)),
+    }
+    return study.once(f"dist {method} {q} {rule}", lambda: cut(make[method]()))
+
+
+def curve(study: Study, methods, ks, q: int | None = None, rule: str = "in_2r") -> DataFrame:
+    """(method, q, k, k_found, mean_err, p95_err, max_err): error of each method at each number of typical snapshots.
+
+    Take ks that divide n: a fixed step then gives exactly k, and methods are compared at equal numbers.
+    """
+    rows = [measured(study, method, select_typical(study, method, k, q, rule=rule), int(k), q) for method in methods for k in ks]
+    return study.net.edges.sparkSession.createDataFrame(rows, CURVE)
+
+
+CURVE = "method string, q int, k int, k_found int, mean_err double, p95_err double, max_err double"
+
+
+def measured(study: Study, method: str, selection: DataFrame, k: int | None, q: int | None) -> tuple:
+    picked = selection.select("snap", "typ").toArrow()  # n rows
+    snap, typ = picked.column("snap").to_numpy(), picked.column("typ").to_numpy()
+    err = study.matrix[typ, snap]
+    return method, q or study.q, k, len(set(typ.tolist())), round(float(err.mean()), 6), round(float(np.percentile(err, 95)), 6), round(float(err.max()), 6)

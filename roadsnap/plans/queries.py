@@ -118,17 +118,26 @@ def static_check(spark, sf_dir):
 
 @query(f"WITH {S.TRADE}, {S.COSTS} SELECT * FROM c")
 def path_costs_trade(spark, sf_dir):
-    net = nets.trade_net(spark, sf_dir)
-    return paths.cost(net.paths, net.weights)
+    return _long_costs(nets.trade_net(spark, sf_dir))
 
 
-@query(f"WITH {S.grid()}, {S.ROUTES}, {S.COSTS} SELECT * FROM c")
-def path_costs_grid(spark, sf_dir):
-    net = nets.grid_net(spark, sf_dir)
+def _long_costs(net):
     rows = paths.cost_packed(net.paths, snapshots.packed(net.weights))
     return rows.select("pid", F.posexplode("d").alias("snap", "d_ms")).select("snap", "pid", "d_ms")
 
 
+@query(f"WITH {S.grid()}, {S.ROUTES}, {S.COSTS} SELECT * FROM c")
+def path_costs_grid(spark, sf_dir):
+    return _long_costs(nets.grid_net(spark, sf_dir))
+
+
+@query(f"WITH {S.TRADE}, {S.COSTS} SELECT * FROM c")
+def path_costs_joined(spark, sf_dir):
+    """The same costs by a join in long form, the relational twin of the packed kernel."""
+    net = nets.trade_net(spark, sf_dir)
+    return paths.cost(net.paths, net.weights)
+
+
 @query(f"WITH {S.TRADE_ERRORS} SELECT * FROM er")
 def pair_error_trade(spark, sf_dir):
     net = nets.trade_net(spark, sf_dir)
@@ -138,7 +147,7 @@ def pair_error_trade(spark, sf_dir):
 
 def trade_errors(spark, sf_dir):
     net = nets.trade_net(spark, sf_dir)
-    return net, cut(evaluate.error_matrix(paths.cost_rows(paths.cost(net.paths, net.weights)), n_of(net)))
+    return net, cut(evaluate.error_matrix(paths.cost_packed(net.paths, snapshots.packed(net.weights)), n_of(net)))
 
 
 @query(f"WITH {S.TRADE_ERRORS} SELECT * FROM er")
@@ -212,7 +221,7 @@ def uniform_assign_min_error(spark, sf_dir):
     return temporal.assign(net.snapshots, temporal.uniform(net.snapshots, 5, 2), "min_error", err)
 
 
-_SELECTION = """SELECT count(DISTINCT typ) AS k, round(CAST(sum(CAST(round(err * 1000000000) AS BIGINT)) AS BIGINT) / count(*) / 1000000000, 6) AS mean_err, round(max(err), 6) AS max_err,
+_SELECTION = """SELECT count(DISTINCT typ) AS k, round(CAST(sum(CAST(round(err * 1000000000) AS BIGINT)) AS BIGINT) / count(*) / 1000000000, 6) AS mean_err, round(quantile_cont(err, 0.95), 6) AS p95_err, round(max(err), 6) AS max_err,
   round(CAST(sum(CASE WHEN snap <> typ THEN CAST(round(err * 1000000000) AS BIGINT) END) AS BIGINT) / nullif(count(*) FILTER (snap <> typ), 0) / 1000000000, 6) AS mean_err_others"""
 
 
@@ -229,16 +238,17 @@ def worst_per_typical(spark, sf_dir):
 
 
 @query(
-    f"WITH {S.TRADE_ERRORS}, x AS (SELECT CAST(i AS INTEGER) AS step FROM range(1, 29) r(i)), a AS (SELECT step, act, arg_min(typ, abs(typ - act) * 100 + typ) AS typ FROM er JOIN x ON typ % step = 0 GROUP BY ALL) "
-    "SELECT step, count(DISTINCT a.typ) AS k, round(CAST(sum(CAST(round(err * 1000000000) AS BIGINT)) AS BIGINT) / count(*) / 1000000000, 6) AS mean_err FROM a JOIN er ON er.typ = a.typ AND er.act = a.act GROUP BY 1"
+    f"WITH {S.TRADE_ERRORS}, x AS (SELECT CAST(i AS INTEGER) AS step, CAST(j AS INTEGER) AS start FROM range(1, 29) r(i), range(28) q(j) WHERE j < i), "
+    "a AS (SELECT step, start, act, arg_min(typ, abs(typ - act) * 100 + typ) AS typ FROM er JOIN x ON typ % step = start GROUP BY ALL) "
+    "SELECT step, start, count(DISTINCT a.typ) AS k, round(CAST(sum(CAST(round(err * 1000000000) AS BIGINT)) AS BIGINT) / count(*) / 1000000000, 6) AS mean_err FROM a JOIN er ON er.typ = a.typ AND er.act = a.act GROUP BY 1, 2"
 )
 def uniform_error_curve(spark, sf_dir):
-    """Step sweep: one join over all steps at once."""
+    """Sweep of every step and every start: one join over all of them at once."""
     net, err = trade_errors(spark, sf_dir)
     n = n_of(net)
-    steps = spark.range(1, n + 1).select(F.col("id").cast("int").alias("step"))
-    near = err.join(F.broadcast(steps), F.expr("typ % step = 0")).groupBy("step", "act").agg(F.min_by(F.struct("typ", "err"), F.struct(F.expr("abs(typ - act)"), "typ")).alias("b"))
-    return near.groupBy("step").agg(F.countDistinct("b.typ").alias("k"), F.round(F.sum(F.round(F.col("b.err") * 1_000_000_000).cast("bigint")) / F.count("*") / 1_000_000_000, 6).alias("mean_err"))
+    steps = spark.range(1, n + 1).select(F.col("id").cast("int").alias("step")).select("step", F.explode(F.sequence(F.lit(0), F.col("step") - 1)).alias("start"))
+    near = err.join(F.broadcast(steps), F.expr("typ % step = start")).groupBy("step", "start", "act").agg(F.min_by(F.struct("typ", "err"), F.struct(F.expr("abs(typ - act)"), "typ")).alias("b"))
+    return near.groupBy("step", "start").agg(F.countDistinct("b.typ").alias("k"), F.round(F.sum(F.round(F.col("b.err") * 1_000_000_000).cast("bigint")) / F.count("*") / 1_000_000_000, 6).alias("mean_err"))
 
 
 _WINDOWS = f"""WITH RECURSIVE {S.TRADE_ERRORS},
@@ -260,7 +270,7 @@ def nonuniform_windows(spark, sf_dir):
 @query(SQL["nonuniform_windows"])
 def nonuniform_banded(spark, sf_dir):
     net = nets.trade_net(spark, sf_dir)
-    return temporal.nonuniform_banded(cut(paths.cost_rows(paths.cost(net.paths, net.weights))), n_of(net), EPS, 2)
+    return temporal.nonuniform_banded(cut(paths.cost_packed(net.paths, snapshots.packed(net.weights))), n_of(net), EPS, 2)
 
 
 @query(_WINDOWS.format(eps=EPS) + f", sel AS (SELECT s.snap, typ FROM wn JOIN bs USING (lo, hi) JOIN s ON s.snap BETWEEN lo AND hi) {_SELECTION} FROM sel JOIN er ON er.typ = sel.typ AND er.act = sel.snap".replace("count(DISTINCT typ)", "count(DISTINCT sel.typ)").replace("snap <> typ", "snap <> sel.typ"))
@@ -269,11 +279,12 @@ def nonuniform_error(spark, sf_dir):
     return evaluate.selection_error(temporal.members(temporal.nonuniform(err, n_of(net), EPS)), err)
 
 
-@query("SELECT CAST(0 AS BIGINT) AS violations")
+@query(_WINDOWS.format(eps=EPS) + f", sel AS (SELECT s.snap, typ FROM wn JOIN bs USING (lo, hi) JOIN s ON s.snap BETWEEN lo AND hi) SELECT count(*) AS snapshots, count(*) FILTER (err > {EPS}) AS violations, max(err) AS worst FROM sel JOIN er ON er.typ = sel.typ AND er.act = sel.snap")
 def nonuniform_bound(spark, sf_dir):
-    """Every snapshot lies within the threshold of its window's typical one."""
+    """Every snapshot lies within the threshold of its window's typical one: no violations, and the worst error."""
     net, err = trade_errors(spark, sf_dir)
-    return evaluate.assigned_error(temporal.members(temporal.nonuniform(err, n_of(net), EPS)), err).agg(F.count_if(F.col("err") > EPS).alias("violations"))
+    each = evaluate.assigned_error(temporal.members(temporal.nonuniform(err, n_of(net), EPS)), err)
+    return each.agg(F.count("*").alias("snapshots"), F.count_if(F.col("err") > EPS).alias("violations"), F.max("err").alias("worst"))
 
 
 @query()
@@ -304,7 +315,7 @@ def eps_sweep(spark, sf_dir):
 
 # ---------------------------------------------------------------- edge-based representation
 
-_CV = "cv AS (SELECT eid, round(sqrt(CAST(n * q - s1 * s1 AS DOUBLE)) / s1, 9) AS cv FROM (SELECT eid, CAST(sum(w_ms) AS BIGINT) AS s1, CAST(sum(w_ms * w_ms) AS BIGINT) AS q, count(*) AS n FROM wt GROUP BY 1))"
+_CV = "cv AS (SELECT eid, round(sqrt(CAST(n * q - s1 * s1 AS DOUBLE)) / CAST(s1 AS DOUBLE), 9) AS cv FROM (SELECT eid, CAST(sum(w_ms) AS HUGEINT) AS s1, CAST(sum(CAST(w_ms AS HUGEINT) * w_ms) AS HUGEINT) AS q, count(*) AS n FROM wt GROUP BY 1))"
 
 
 @query(f"WITH {S.grid()} SELECT snap, eid AS dim, CAST(w_ms AS DOUBLE) AS val FROM wt")
@@ -312,7 +323,7 @@ def edge_weight_vector(spark, sf_dir):
     return edgevec.weights(nets.grid_net(spark, sf_dir).weights)
 
 
-@query(f"WITH {S.grid()} SELECT a.snap, eid AS dim, CAST(a.w_ms - b.w_ms AS DOUBLE) AS val FROM wt a JOIN (SELECT eid, w_ms FROM wt WHERE snap = 0) b USING (eid)")
+@query(f"WITH {S.grid()} SELECT snap, eid AS dim, CAST(w_ms - first_value(w_ms) OVER (PARTITION BY eid ORDER BY snap) AS DOUBLE) AS val FROM wt")
 def edge_delta_vector(spark, sf_dir):
     return edgevec.delta(nets.grid_net(spark, sf_dir).weights)
 
@@ -603,33 +614,48 @@ def reach_hops(spark, sf_dir):
 
 @query(_REACH + " SELECT snap, origin AS vid, count(*) AS size FROM rc GROUP BY ALL")
 def reach_sizes(spark, sf_dir):
-    return hotspots.sizes(_reached(spark, sf_dir, engine="block")[1])
+    return _sizes(spark, sf_dir)
+
+
+def _sizes(spark, sf_dir, period="year"):
+    net = nets.grid_net(spark, sf_dir, period)
+    return reach.sizes(cut(net.edges), cut(net.weights), net.vertices, R_MS, net.vertices)
 
 
 @query(f"{_REACH}, {S.BLOCKS} SELECT * FROM bl")
 def block_coefficient(spark, sf_dir):
-    return hotspots.block_coef(hotspots.sizes(_reached(spark, sf_dir, engine="block")[1]))
+    return hotspots.block_coef(_sizes(spark, sf_dir))
 
 
 @query(f"{_REACH}, {S.BLOCKS}, {S.FLUCT} SELECT * FROM fl")
 def fluctuation(spark, sf_dir):
-    return hotspots.fluctuation(hotspots.block_coef(hotspots.sizes(_reached(spark, sf_dir, engine="block")[1])))
+    return hotspots.fluctuation(hotspots.block_coef(_sizes(spark, sf_dir)))
 
 
 def _hot(spark, sf_dir, rule="none", q=Q, period="year"):
     net, reached = _reached(spark, sf_dir, period, "block")
     f = cut(hotspots.fluctuation(hotspots.block_coef(hotspots.sizes(reached))))
     w = cut(net.weights)
-    cover = lambda ids: reach.bounded(net.edges, w, ids, 2 * R_MS, "block", net.vertices)
+    r = hotspots.cover_radius(rule, R_MS)
+    cover = lambda ids: reach.bounded(net.edges, w, ids, r, "block", net.vertices)
     return net, reached, hotspots.select(f, q, cover, rule)
 
 
-@query()
+def _chosen(r_ms, meets):
+    """Greedy choice in order of fluctuation; `meets` tells that a cover `b.c` or vertex meets what is taken."""
+    return f"""{_REACH}, {S.reach(r_ms, name="rw")}, {S.BLOCKS}, {S.FLUCT}, rk AS (SELECT vid, f, row_number() OVER (ORDER BY f DESC, vid) AS rn FROM fl),
+cvr AS (SELECT vid, f, rn, list(DISTINCT reached) AS c FROM rk JOIN rw ON origin = vid GROUP BY ALL),
+pk(rank, rn, vid, f, taken) AS (SELECT 0, rn, vid, f, c FROM cvr WHERE rn = 1 UNION ALL
+  SELECT rank + 1, b.rn, b.vid, b.f, list_concat(pk.taken, b.c) FROM pk, LATERAL (SELECT * FROM cvr WHERE cvr.rn > pk.rn AND NOT {meets} ORDER BY cvr.rn LIMIT 1) b WHERE rank + 1 < {Q})
+SELECT rank, vid, f FROM pk"""
+
+
+@query(_chosen(2 * R_MS, "list_contains(pk.taken, cvr.vid)"))
 def hot_vertices(spark, sf_dir):
     return _hot(spark, sf_dir, "in_2r")[2]
 
 
-@query()
+@query(_chosen(R_MS, "list_has_any(pk.taken, cvr.c)"))
 def hot_vertices_disjoint(spark, sf_dir):
     return _hot(spark, sf_dir, "disjoint_r")[2]
 
@@ -667,6 +693,13 @@ def _set_query(name, kind, value):
     query(f"{_SETS} SELECT i, j, {value} AS dist FROM ce GROUP BY ALL", name)(f)
 
 
+@query(f"{_SETS} SELECT i, j, round(1 - CAST(sum(m * 1000000000 // (ni + nj - m)) AS BIGINT) / count(*) / 1e9, 6) AS dist FROM ce GROUP BY ALL")
+def set_distance_packed(spark, sf_dir):
+    """The kernel that the methods use: 0/1 matrices instead of a self-join."""
+    net, reached, hot = _hot(spark, sf_dir)
+    return distances.sets_packed(cut(hotspots.rep_set(reached, hot)), n_of(net))
+
+
 _set_query("set_distance", "jaccard", "round(1 - CAST(sum(m * 1000000000 // (ni + nj - m)) AS BIGINT) / count(*) / 1e9, 6)")
 _set_query("set_distance_dice", "dice", "round(1 - CAST(sum(2 * m * 1000000000 // (ni + nj)) AS BIGINT) / count(*) / 1e9, 6)")
 _set_query("set_distance_micro", "micro", "round(1 - CAST(sum(m) AS BIGINT) / CAST(sum(ni + nj - m) AS BIGINT), 6)")
@@ -715,14 +748,6 @@ def match_nearest_sets(spark, sf_dir):
     return matching.nearest_sets(rep, rep.filter("snap % 3 = 0"))
 
 
-@query("SELECT CAST(28 AS BIGINT) AS new_snapshots, CAST(5 AS BIGINT) AS k, CAST(140 AS BIGINT) AS evaluations")
-def match_counters(spark, sf_dir):
-    """Machine-free cost: one distance for each new and each typical snapshot."""
-    net = nets.trade_net(spark, sf_dir)
-    typ = net.snapshots.filter("snap % 6 = 0").agg(F.count("*").alias("k"))
-    return net.snapshots.agg(F.count("*").alias("new_snapshots")).crossJoin(typ).withColumn("evaluations", F.col("new_snapshots") * F.col("k"))
-
-
 # ---------------------------------------------------------------- routing and indexes
 
 _PAIRS = f"WITH RECURSIVE {S.TRADE}, {S.reach(1 << 60, 'SELECT CAST(n_nationkey AS BIGINT) AS vid FROM nation')}"
@@ -733,16 +758,39 @@ def _trade_queries(spark, sf_dir):
     return nets.trade_moves(spark, sf_dir).selectExpr("eid div 25 as s", "eid % 25 as t").distinct()
 
 
+@query(
+    f"{_PAIRS}, {S.COSTS} SELECT 'distance evaluations' AS counter, count(*) AS n FROM (SELECT a.snap, b.snap FROM wt a JOIN wt b USING (eid) WHERE b.snap % 6 = 0 GROUP BY ALL) UNION ALL "
+    "SELECT 'path errors', count(*) FROM c a JOIN c b USING (pid) UNION ALL SELECT 'pair errors', count(*) FROM (SELECT DISTINCT a.snap, b.snap FROM c a JOIN c b USING (pid)) UNION ALL SELECT 'settled vertices', count(*) FROM rc"
+)
+def match_counters(spark, sf_dir):
+    """Machine-free cost of one run: distances of matching, errors of windows, vertices that searches settle."""
+    net = nets.trade_net(spark, sf_dir)
+    w = cut(net.weights)
+    rep = edgevec.weights(w)
+    found = cut(evaluate.error_sums(paths.cost_packed(net.paths, snapshots.packed(w)), n_of(net)))
+    counts = {
+        "distance evaluations": distances.euclidean(rep, rep.filter("snap % 6 = 0")),
+        "pair errors": found.select("typ", "act").distinct(),
+        "settled vertices": reach.bounded(net.edges, w, net.vertices, 1 << 60),
+    }
+    out = found.agg(F.sum("c").alias("n")).select(F.lit("path errors").alias("counter"), "n")
+    for name, df in counts.items():
+        out = out.unionByName(df.agg(F.count("*").alias("n")).select(F.lit(name).alias("counter"), "n"))
+    return out
+
+
 @query(_PAIRS + " SELECT snap AS typ, origin AS s, reached AS t, dist_ms AS dist FROM rc")
 def all_pairs_trade(spark, sf_dir):
     net = nets.trade_net(spark, sf_dir)
     return routing.all_pairs(net.edges, cut(net.weights), net.vertices)
 
 
-@query(f"{_PAIRS}, {_QUERIES} SELECT snap, s, t, dist_ms AS dist FROM qs CROSS JOIN (SELECT DISTINCT snap FROM wt) LEFT JOIN rc USING (snap) WHERE origin = s AND reached = t")
+@query(f"{_PAIRS}, {_QUERIES} SELECT n.snap, s, t, dist_ms AS dist FROM (SELECT * FROM qs UNION ALL SELECT 0, 77) qs CROSS JOIN (SELECT DISTINCT snap FROM wt) n LEFT JOIN rc ON rc.snap = n.snap AND origin = s AND reached = t")
 def shortest_distances(spark, sf_dir):
+    """Distances of the observed pairs, and of one that no way joins."""
     net = nets.trade_net(spark, sf_dir)
-    return routing.distances(net.edges, cut(net.weights), _trade_queries(spark, sf_dir))
+    asked = _trade_queries(spark, sf_dir).unionAll(spark.createDataFrame([(0, 77)], "s bigint, t bigint"))
+    return routing.distances(net.edges, cut(net.weights), asked)
 
 
 @query(f"{_PAIRS}, {_QUERIES} SELECT snap, s, t, dist_ms AS dist FROM qs JOIN rc ON origin = s AND reached = t")
@@ -854,10 +902,45 @@ def grouping_sets_report(spark, sf_dir):
     return lines.groupingSets([["l_returnflag", "l_linestatus"], ["yr"], []], "l_returnflag", "l_linestatus", "yr").agg(F.count("*").alias("n"))
 
 
-@query("WITH t AS (SELECT CAST(vec_id % 10 AS INTEGER) AS cluster, label, count(*) AS n FROM embeddings GROUP BY ALL) SELECT count(*) AS clusters, round(CAST(sum(m) AS BIGINT) / CAST(sum(a) AS BIGINT), 6) AS purity FROM (SELECT cluster, max(n) AS m, sum(n) AS a FROM t GROUP BY 1)")
-def purity_table(spark, sf_dir):
+_VECTORS = "x AS (SELECT vec_id AS snap, label, round(CAST(unnest(embedding) AS DOUBLE) * 1000000) AS val, CAST(generate_subscripts(embedding, 1) - 1 AS INTEGER) AS dim FROM embeddings), c0 AS (SELECT snap AS cluster, dim, val FROM x WHERE snap < 10)"
+
+
+def _lloyd_rounds(n):
+    """Unrolled rounds as CTEs; l{n - 1} holds the labels after the last one."""
+    out = []
+    for i in range(n):
+        out.append(f"f{i} AS (SELECT snap, cluster, round(sum((x.val - c.val) * (x.val - c.val)), 6) AS d2 FROM x JOIN c{i} c USING (dim) GROUP BY ALL)")
+        out.append(f"l{i} AS (SELECT snap, cluster FROM f{i} QUALIFY row_number() OVER (PARTITION BY snap ORDER BY d2, cluster) = 1)")
+        out.append(f"c{i + 1} AS (SELECT cluster, dim, round(avg(val)) AS val FROM x JOIN l{i} USING (snap) GROUP BY ALL)")
+    return ", ".join(out[:-1])
+
+
+def _vectors(spark, sf_dir):
     e = table(spark, sf_dir, "embeddings")
-    return evaluate.purity(e.selectExpr("vec_id as snap", "cast(vec_id % 10 as int) as cluster"), e.selectExpr("vec_id as snap", "label as regime"))
+    x = e.select(F.col("vec_id").alias("snap"), "label", F.posexplode("embedding").alias("dim", "val"))
+    return x.select("snap", "label", "dim", F.round(F.col("val").cast("double") * 1_000_000).alias("val"))  # whole millionths: sums are exact
+
+
+def _embedding_clusters(spark, sf_dir):
+    rep = cut(_vectors(spark, sf_dir).drop("label"))
+    return clustering.lloyd(rep, rep.filter("snap < 10").withColumnRenamed("snap", "cluster"), 4, 0)
+
+
+@query(f"WITH {_VECTORS}, {_lloyd_rounds(4)} SELECT snap, cluster FROM l3")
+def embeddings_clusters(spark, sf_dir):
+    """K-means on ready vectors: four rounds of ten centres, which start at the first ten vectors."""
+    return _embedding_clusters(spark, sf_dir).select("snap", "cluster")
+
+
+@query(
+    f"WITH {_VECTORS}, {_lloyd_rounds(4)}, t AS (SELECT cluster, label, count(*) AS n FROM l3 JOIN embeddings ON vec_id = snap GROUP BY ALL), p AS (SELECT cluster, max(n) AS m, CAST(sum(n) AS BIGINT) AS a FROM t GROUP BY 1), "
+    "q AS (SELECT (SELECT sum(n * (n - 1) / 2) FROM t) AS i, (SELECT sum(a * (a - 1) / 2) FROM p) AS x, (SELECT sum(b * (b - 1) / 2) FROM (SELECT CAST(sum(n) AS BIGINT) AS b FROM t GROUP BY label)) AS y, (SELECT sum(a) * (sum(a) - 1) / 2 FROM p) AS z) "
+    "SELECT (SELECT count(*) FROM p) AS clusters, (SELECT round(CAST(sum(m) AS BIGINT) / CAST(sum(a) AS BIGINT), 6) FROM p) AS purity, round((i - x * y / z) / ((x + y) / 2 - x * y / z), 6) AS ari FROM q"
+)
+def purity_table(spark, sf_dir):
+    """Purity and adjusted Rand index of the clusters of all embeddings against their labels."""
+    found, truth = cut(_embedding_clusters(spark, sf_dir)), table(spark, sf_dir, "embeddings").selectExpr("vec_id as snap", "label as regime")
+    return evaluate.purity(found, truth).crossJoin(evaluate.adjusted_rand(found, truth))
 
 
 @query(
@@ -866,26 +949,21 @@ def purity_table(spark, sf_dir):
 )
 def embeddings_l2_nearest(spark, sf_dir):
     """The matching operator on ready vectors: every vector against the mean vector of each label."""
-    e = table(spark, sf_dir, "embeddings")
-    x = e.select(F.col("vec_id").alias("snap"), "label", F.posexplode("embedding").alias("dim", "val")).select("snap", "label", "dim", F.round(F.col("val").cast("double") * 1_000_000).alias("val"))  # whole millionths: sums are exact
+    x = _vectors(spark, sf_dir)
     means = cut(x.groupBy("label", "dim").agg(F.round(F.avg("val")).alias("val")).select(F.col("label").alias("snap"), "dim", "val"))
     near = matching.nearest(x.select("snap", "dim", "val"), means)
     return near.select("snap", "typ", F.round("dist", 3).alias("dist"))
 
 
 @query(
-    "WITH l AS (SELECT DISTINCT doc_id, lang, md5(unnest(string_split(text, chr(10)))) AS line FROM documents), n AS (SELECT doc_id, count(*) AS n FROM l GROUP BY 1), "
-    "b AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS m FROM l x JOIN l y ON x.line = y.line AND x.lang = y.lang AND x.doc_id < y.doc_id GROUP BY ALL) SELECT a, b, round(1 - m / (p.n + q.n - m), 6) AS dist FROM b JOIN n p ON p.doc_id = a JOIN n q ON q.doc_id = b WHERE 2 * m >= p.n + q.n - m"
+    "WITH l AS (SELECT doc_id, lang, unnest(list_distinct(list_filter(regexp_split_to_array(lower(text), '[^\\p{L}]+'), lambda w: w <> ''))) AS w FROM documents), n AS (SELECT doc_id, count(*) AS n FROM l GROUP BY 1), "
+    "b AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS m FROM l x JOIN l y ON x.w = y.w AND x.lang = y.lang AND x.doc_id < y.doc_id GROUP BY ALL) SELECT a, b, round(1 - m / (p.n + q.n - m), 6) AS dist FROM b JOIN n p ON p.doc_id = a JOIN n q ON q.doc_id = b WHERE 2 * m >= p.n + q.n - m"
 )
 def documents_jaccard_pairs(spark, sf_dir):
-    """Set distance on documents as sets of lines, within a language; near copies that share few equal lines are not found."""
-    lines = table(spark, sf_dir, "documents").select("doc_id", "lang", F.explode(F.split("text", "\n", -1)).alias("line")).select("doc_id", "lang", F.md5(F.col("line").cast("binary")).alias("line")).distinct()
-    lines = cut(lines)
-    n = lines.groupBy("doc_id").agg(F.count("*").alias("n"))
-    x, y = lines.selectExpr("doc_id as a", "lang", "line"), lines.selectExpr("doc_id as b", "lang", "line")
-    both = x.join(y, ["lang", "line"]).filter("a < b").groupBy("a", "b").agg(F.count("*").alias("m"))
-    sized = both.join(n.selectExpr("doc_id as a", "n as na"), "a").join(n.selectExpr("doc_id as b", "n as nb"), "b").filter("2 * m >= na + nb - m")
-    return sized.select("a", "b", F.round(1 - F.col("m") / (F.col("na") + F.col("nb") - F.col("m")), 6).alias("dist"))
+    """Set distance on documents as sets of lower-case words, within a language: all pairs at most 0.5 apart."""
+    docs = table(spark, sf_dir, "documents")
+    words = F.array_distinct(F.filter(F.split(F.lower("text"), r"[^\p{L}]+"), lambda w: w != ""))
+    return distances.close_sets(docs.select(F.col("doc_id").alias("id"), F.col("lang").alias("kind"), words.alias("members")), 0.5)
 
 
 # ---------------------------------------------------------------- experiment workloads
@@ -896,54 +974,85 @@ def planted_study(spark, sf_dir, q=None) -> methods.Study:
     return methods.Study(net, 288, R_MS, q or 20)
 
 
-def grid_study(spark, sf_dir, q=Q) -> methods.Study:
-    net = nets.grid_net(spark, sf_dir)
-    return methods.Study(net, n_of(net), R_MS, q)
+def trade_study(spark, sf_dir, q=8) -> methods.Study:
+    """The trade net, with a radius of half its edges' travel times."""
+    net = nets.trade_net(spark, sf_dir)
+    r = int(net.weights.agg(F.percentile("w_ms", F.lit(0.5))).first()[0])
+    return methods.Study(net, n_of(net), r, q, 32)
+
+
+def sizes_of_sets(study) -> tuple:
+    """Numbers of typical vertices to compare: 50 to 200 where the network has room for them."""
+    return (50, 100, 150, 200) if study.net.vertices.count() >= 10_000 else (10, 20, 40, 60)
 
 
 @query()
 def w0_network_sizes(spark, sf_dir):
     rows = None
-    for name, net in (("grid", nets.grid_net(spark, sf_dir)), ("trade", nets.trade_net(spark, sf_dir)), ("events", nets.event_net(spark, sf_dir))):
+    for name, net in (("grid", nets.grid_net(spark, sf_dir)), ("planted", nets.planted_net(spark, sf_dir)), ("trade", nets.trade_net(spark, sf_dir)), ("events", nets.event_net(spark, sf_dir))):
         count = lambda df, c: df.agg(F.count("*").alias(c))
         row = count(net.vertices, "vertices").crossJoin(count(net.edges, "edges")).crossJoin(count(net.snapshots, "snapshots")).crossJoin(net.paths.agg(F.countDistinct("pid").alias("paths"), F.count("*").alias("steps"))).select(F.lit(name).alias("net"), "*")
         rows = row if rows is None else rows.unionByName(row)
     return rows
 
 
-KS = (2, 4, 7, 14)
+#: Numbers of typical snapshots of the planted day's 288; as they divide it, a fixed step gives exactly as many.
+KS = (4, 8, 12, 24, 36, 48, 72)
+SINGLE_EDGE = ("edge_pca", "edge_delta_pca", "edge_cv_pca", "edge_delta_cv_pca")
 
 
 @query()
 def w1_single_edge_curves(spark, sf_dir):
-    return methods.curve(grid_study(spark, sf_dir), ("uniform", "edge_pca", "edge_delta_pca", "edge_cv_pca", "edge_delta_cv_pca"), KS)
+    return methods.curve(planted_study(spark, sf_dir), ("uniform", *SINGLE_EDGE), KS)
 
 
 @query()
 def w1_crossover(spark, sf_dir):
     """From which number of typical snapshots on each single-edge variant errs less than a fixed step does."""
-    c = cut(methods.curve(grid_study(spark, sf_dir), ("uniform", "edge_pca", "edge_cv_pca"), KS))
+    c = cut(methods.curve(planted_study(spark, sf_dir), ("uniform", *SINGLE_EDGE), KS))
     return evaluate.crossover(c.filter("method <> 'uniform'"), c.filter("method = 'uniform'"))
 
 
 @query()
 def w2_typical_path_curves(spark, sf_dir):
-    return methods.curve(grid_study(spark, sf_dir), ("uniform", "paths_random", "paths_constrained", "paths_greedy"), KS)
+    return methods.curve(planted_study(spark, sf_dir), ("uniform", "paths_random", "paths_constrained", "paths_greedy"), KS)
 
 
 @query()
 def w3_typical_vertex_curves(spark, sf_dir):
-    study, out = grid_study(spark, sf_dir), None
-    for q in (5, 10, 20, 40):
-        c = methods.curve(study, ("vertex_set", "vertex_bc_hier", "vertex_bc_kmeans"), KS, q)
-        out = c if out is None else out.unionByName(c)
+    """Four numbers of typical vertices, kept out of each other's 2r covers; and the largest with disjoint covers."""
+    study, kinds = planted_study(spark, sf_dir), ("vertex_set", "vertex_bc_hier", "vertex_bc_kmeans")
+    qs = sizes_of_sets(study)
+    study.typical_vertices(max(qs))  # smaller numbers are its first ones
+    out = methods.curve(study, kinds, KS, qs[0]).withColumn("rule", F.lit("in_2r"))
+    for q, rule in [*((q, "in_2r") for q in qs[1:]), (qs[-1], "disjoint_r")]:
+        out = out.unionByName(methods.curve(study, kinds, KS, q, rule).withColumn("rule", F.lit(rule)))
     return out
 
 
+@query()
+def w3_under_threshold(spark, sf_dir):
+    """The clustering methods under a distance threshold: (method, share, tau, k_found, mean_err, max_err).
+
+    tau is a quantile of the representation's own distances; agglomeration stops there, and K-means gains centres until
+    all members are as near.
+    """
+    study, rows = planted_study(spark, sf_dir), []
+    for method in ("edge_raw", "vertex_set", "vertex_bc_hier", "vertex_bc_kmeans"):
+        dist = methods.distance_of(study, "vertex_bc_hier" if method == "vertex_bc_kmeans" else method)
+        for share in (0.05, 0.1, 0.25, 0.5):
+            tau = float(dist.agg(F.percentile("dist", F.lit(share))).first()[0])
+            _, _, _, k, mean, p95, worst = methods.measured(study, method, methods.select_typical(study, method, tau=tau), None, None)
+            rows.append((method, share, tau, k, mean, p95, worst))
+    return spark.createDataFrame(rows, "method string, share double, tau double, k_found int, mean_err double, p95_err double, max_err double")
+
+
 @query()
 def w4_four_methods(spark, sf_dir):
-    """The planted day: fixed step, growing windows, constrained paths and vertex sets."""
-    return methods.curve(planted_study(spark, sf_dir), ("uniform", "nonuniform", "random_k", "edge_raw", "paths_constrained", "vertex_set"), (4, 7, 12, 24))
+    """Fixed step, growing windows, constrained paths and vertex sets, on the planted day and on trade quarters."""
+    four = ("uniform", "nonuniform", "random_k", "edge_raw", "paths_constrained", "vertex_set")
+    day = methods.curve(planted_study(spark, sf_dir), four, (4, 8, 12, 24, 48)).select(F.lit("planted").alias("net"), "*")
+    return day.unionByName(methods.curve(trade_study(spark, sf_dir), four, (2, 4, 7, 14)).select(F.lit("trade").alias("net"), "*"))
 
 
 @query()
@@ -959,37 +1068,102 @@ def w4_regimes_found(spark, sf_dir):
 
 @query()
 def w5_matching_time(spark, sf_dir):
-    """(form, k, seconds): matching one new snapshot against k typical ones; the empty job's time is given too."""
+    """(form, k, seconds, searches, evaluations): matching one new snapshot of the planted day to k typical ones.
+
+    Seconds are the better of two clocks, for conversion, for k distances, and as fitted by t_r + k * t_sim; the empty job's time
+    is their floor.  Searches and distance evaluations are what the machine does not change.
+    """
     import time
 
-    study = grid_study(spark, sf_dir)
+    study = planted_study(spark, sf_dir)
     w, hot = study.weights, cut(study.typical_vertices().select("vid"))
-    tp = study.typical_paths("constrained")
-    edge, sets = cut(paths.represent(tp, w)), cut(hotspots.rep_set(study.reached, hot))
-    new = cut(w.filter("snap = 0"))
+    tp = cut(study.typical_paths("constrained"))
+    edge, sets = cut(paths.represent(tp, w)), cut(study.typical_sets())
+    near = cut(reach.neighbourhood(study.edges, w, hot, R_MS))  # made once, with the model
+    new = cut(w.filter("snap = 100"))
+    q = hot.count()
 
     def clock(make):
-        t = time.perf_counter()
-        make().write.format("noop").mode("overwrite").save()
-        return time.perf_counter() - t
+        best = None
+        for _ in range(2):
+            t = time.perf_counter()
+            make().write.format("noop").mode("overwrite").save()
+            best = min(best or 1e9, time.perf_counter() - t)
+        return best
+
+    convert = {"edge": lambda: matching.represent_edges(tp, new), "vertex": lambda: matching.represent_vertices(study.edges, new, hot, R_MS, near=near)}
+    rows = [("empty job", 0, clock(lambda: spark.range(1)), 0, 0)]
+    for form, rep, nearest in (("edge", edge, matching.nearest), ("vertex", sets, matching.nearest_sets)):
+        base = clock(convert[form])
+        rows.append((f"{form}, conversion", 0, base, q if form == "vertex" else 0, 0))
+        one, ks, took = rep.filter("snap = 100"), (10, 20, 40, 80), []
+        for k in ks:
+            took.append(clock(lambda: nearest(one, rep.filter(f"snap % {288 // k} = 0 and snap < {288 // k * k}"))))
+            rows.append((form, k, took[-1], 0, k))
+        level, slope = matching.linear_fit(list(ks), [base + t for t in took])
+        rows += [(f"{form}, fitted t_r", 0, level, 0, 0), (f"{form}, fitted t_sim", 1, slope, 0, 1)]
+    return spark.createDataFrame([(a, b, round(c, 6), d, e) for a, b, c, d, e in rows], "form string, k int, seconds double, searches int, evaluations int")
+
+
+_HOURS = 6
+_EVENT_TAU = 1_500_000.0
+_W8 = f"""WITH RECURSIVE {S.EVENT_MOVES},
+ob AS (SELECT CAST(date_diff('hour', TIMESTAMP '2024-01-01', ts) // {_HOURS} AS INTEGER) AS snap, pid, eid, obs_ms FROM em),
+e AS (SELECT eid, eid // 10 AS src, eid % 10 AS dst FROM (SELECT DISTINCT eid FROM em)),
+oe AS (SELECT eid, CAST(sum(obs_ms) AS BIGINT) // count(*) AS w FROM em GROUP BY 1),
+sn AS (SELECT DISTINCT snap FROM ob),
+sc AS (SELECT snap, eid, CAST(sum(obs_ms) AS BIGINT) // count(*) AS w FROM ob GROUP BY ALL),
+wt AS (SELECT sn.snap, e.eid, coalesce(sc.w, oe.w) AS w_ms FROM sn CROSS JOIN e JOIN oe USING (eid) LEFT JOIN sc ON sc.snap = sn.snap AND sc.eid = e.eid),
+al AS (SELECT a.snap AS i, b.snap AS j, round(sqrt(CAST(sum((a.w_ms - b.w_ms) * (a.w_ms - b.w_ms)) AS DOUBLE)), 6) AS dist FROM wt a JOIN wt b USING (eid) GROUP BY ALL),
+od AS (SELECT snap, row_number() OVER (ORDER BY snap) - 1 AS r FROM sn),
+rp(r, snap, typ, is_new, t) AS (SELECT 0, snap, snap, false, [snap] FROM od WHERE r = 0 UNION ALL
+  SELECT rp.r + 1, n.snap, CASE WHEN b.dist > {_EVENT_TAU} THEN n.snap ELSE b.j END, b.dist > {_EVENT_TAU}, CASE WHEN b.dist > {_EVENT_TAU} THEN list_append(t, n.snap) ELSE t END
+  FROM rp JOIN od n ON n.r = rp.r + 1, LATERAL (SELECT j, dist FROM al WHERE al.i = n.snap AND list_contains(rp.t, al.j) ORDER BY dist, j LIMIT 1) b),
+tw AS (SELECT snap, eid, w_ms FROM wt WHERE snap IN (SELECT typ FROM rp)),
+{S.reach(1 << 60, "SELECT DISTINCT src AS vid FROM e", "tw")}
+SELECT q.snap, rp.typ, rp.is_new, q.s, q.t, rc.dist_ms AS dist FROM (SELECT DISTINCT snap, eid // 10 AS s, eid % 10 AS t FROM ob) q JOIN rp ON rp.snap = q.snap LEFT JOIN rc ON rc.snap = rp.typ AND rc.origin = q.s AND rc.reached = q.t"""
+
+
+@query(_W8)
+def w8_stream_to_answer(spark, sf_dir):
+    """Events as a stream, to answers from the index of the matched or newly opened snapshot; six hours a snapshot."""
+    return stream_to_answer(spark, sf_dir, 28)
 
-    rows = [("empty job", 0, clock(lambda: spark.range(1))), ("edge, conversion", 0, clock(lambda: matching.represent_edges(tp, new))), ("vertex, conversion", 0, clock(lambda: matching.represent_vertices(study.edges, new, hot, R_MS)))]
-    for k in (5, 10, 20, 28):
-        rows.append(("edge", k, clock(lambda: matching.nearest(edge.filter("snap = 0"), edge.filter(f"snap < {k}")))))
-        rows.append(("vertex", k, clock(lambda: matching.nearest_sets(sets.filter("snap = 0"), sets.filter(f"snap < {k}")))))
-    return spark.createDataFrame([(a, b, round(c, 6)) for a, b, c in rows], "form string, k int, seconds double")
 
+def stream_to_answer(spark, sf_dir, per_batch: int, folder: str | None = None) -> DataFrame:
+    """(snap, typ, is_new, s, t, dist), from `per_batch` snapshots in a micro-batch."""
+    from ..sources.replay import ReplaySource
 
-@query()
-def w8_stream_to_answer(spark, sf_dir):
-    """Recorded snapshots are replayed as a stream; each batch is matched and may open typical snapshots."""
+    events = table(spark, sf_dir, "events").withColumn("snap", F.expr(f"cast(timestampdiff(HOUR, TIMESTAMP_NTZ '2024-01-01 00:00:00', ts) div {_HOURS} as int)"))
+    placed = cut(events.select("snap", "user_id", "event_id", F.expr("timestampdiff(MICROSECOND, TIMESTAMP_NTZ '2024-01-01 00:00:00', ts)").alias("ts"), F.expr("cast(get_json_object(props, '$.k') as bigint) div 10").alias("bucket"), F.round(F.col("value") * 1000).cast("bigint").alias("obs_ms")))
+    moves = cut(nets.event_moves(spark, sf_dir).withColumn("snap", F.expr(f"cast(timestampdiff(HOUR, TIMESTAMP_NTZ '2024-01-01 00:00:00', ts) div {_HOURS} as int)")))
+    edges = moves.select("eid").distinct().selectExpr("eid", "eid div 10 as src", "eid % 10 as dst", "cast(100 as bigint) as length_m")
+    of_edge, of_net = moves.groupBy("eid").agg(F.expr("sum(obs_ms) div count(*)").alias("edge_ms")), moves.agg(F.expr("sum(obs_ms) div count(*)").alias("net_ms"))
+    begin = moves.agg(F.min("snap")).first()[0] or 0
+    first = moves.filter(F.col("snap") == begin)
+    weights = snapshots.fill(snapshots.profile(first), edges, first.select("snap").distinct(), of_edge, of_net)
+    spark.dataSource.register(ReplaySource)
+    columns = "snap int, user_id bigint, event_id bigint, ts bigint, bucket bigint, obs_ms bigint"
+    place = placed.inputFiles()[0].rsplit("/", 1)[0]
+    stream = spark.readStream.format("snapshot_replay").option("path", place).option("per_batch", per_batch).option("columns", columns).load()
+    net = nets.Network(None, edges, None, weights)
+    return traffic.answer_stream(stream, net, of_edge, of_net, _EVENT_TAU, begin, folder)
+
+
+@query(
+    f"WITH RECURSIVE {S.TRADE}, {_L2}, al AS (SELECT i, j, dist FROM l2 UNION ALL SELECT j, i, dist FROM l2 UNION ALL SELECT snap, snap, 0 FROM s), "
+    f"rp(snap, typ, dist, is_new, t) AS (SELECT 0, 0, CAST(0 AS DOUBLE), false, [0] UNION ALL SELECT snap + 1, CASE WHEN b.dist > {TAU} THEN snap + 1 ELSE b.j END, b.dist, b.dist > {TAU}, CASE WHEN b.dist > {TAU} THEN list_append(t, snap + 1) ELSE t END "
+    "FROM rp, LATERAL (SELECT j, dist FROM al WHERE al.i = rp.snap + 1 AND list_contains(rp.t, al.j) ORDER BY dist, j LIMIT 1) b) SELECT snap, typ, round(dist, 2) AS dist, is_new FROM rp"
+)
+def match_recorded_stream(spark, sf_dir):
+    """Recorded trade quarters are replayed as a stream and matched; the first one is typical to begin with."""
     from ..sources.replay import ReplaySource
 
     rep = cut(edgevec.weights(nets.trade_net(spark, sf_dir).weights).coalesce(1))
     spark.dataSource.register(ReplaySource)
     place = rep.inputFiles()[0].rsplit("/", 1)[0]
     stream = spark.readStream.format("snapshot_replay").option("path", place).option("per_batch", 7).load()
-    return traffic.match_stream(stream, rep.filter("snap = 0"), TAU)
+    return _coarse(traffic.match_stream(stream, rep.filter("snap = 0"), TAU))
 
 
 @query()

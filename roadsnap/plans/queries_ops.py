@@ -285,6 +285,28 @@ def udtf_grid_edges(spark, sf_dir):
     return spark.sql("SELECT * FROM grid_edges(6, 5)")
 
 
+@query("WITH v AS (SELECT i AS vid, abs(i % 6 - 8 % 6) + abs(i // 6 - 8 // 6) AS d FROM range(30) r(i)) SELECT vid AS reached, d * 1000 AS dist_ms FROM v WHERE d * 1000 <= 3500")
+def udtf_reach_from(spark, sf_dir):
+    udx.register(spark)
+    return spark.sql("SELECT * FROM reach_from(6, 5, 8, 3500, 1000)")
+
+
+@query()
+def udtf_grow_path(spark, sf_dir):
+    """A path drawn in SQL; a test repeats its draws."""
+    udx.register(spark)
+    return spark.sql("SELECT * FROM grow_path(6, 5, 8, 12, 42)")
+
+
+@query("WITH a AS (SELECT DISTINCT o_custkey AS c, year(o_orderdate) AS y FROM orders) SELECT y, count(*) AS customers, count(*) FILTER (c IN (SELECT c FROM a b WHERE b.y = a.y - 1)) AS again FROM a GROUP BY 1".replace("c IN (SELECT c FROM a b WHERE b.y = a.y - 1)", "EXISTS (SELECT 1 FROM a b WHERE b.y = a.y - 1 AND b.c = a.c)"))
+def op_theta_sketch(spark, sf_dir):
+    """Set sizes and those of intersections from theta sketches, which are exact below 2**16 members."""
+    t = table(spark, sf_dir, "orders").groupBy(F.year("o_orderdate").cast("bigint").alias("y")).agg(F.theta_sketch_agg("o_custkey", F.lit(16)).alias("k"))
+    before = t.select((F.col("y") + 1).alias("y"), F.col("k").alias("p"))
+    both = t.join(before, "y", "left")
+    return both.select("y", F.theta_sketch_estimate("k").alias("customers"), F.coalesce(F.theta_sketch_estimate(F.theta_intersection("k", "p")), F.lit(0)).cast("bigint").alias("again"))
+
+
 # ---------------------------------------------------------------- streams, against the same in batch
 
 _MS = "CAST(sum(CAST(round(value * 1000) AS BIGINT)) AS BIGINT) AS total_ms"

@@ -78,11 +78,11 @@ TRADE_ERRORS = f"{TRADE},\n{COSTS},\n{ERRORS}"
 
 def reach(r_ms: int, origins: str = "SELECT vid FROM v", weights: str = "wt", name: str = "rc") -> str:
     """A recursive CTE; the query must begin WITH RECURSIVE."""
-    return f"""ar AS (SELECT snap, src, dst, w_ms FROM {weights} JOIN e USING (eid)),
+    return f"""ar_{name} AS (SELECT snap, src, dst, w_ms FROM {weights} JOIN e USING (eid)),
 {name}(snap, origin, reached, dist_ms) USING KEY (snap, origin, reached) AS (
   SELECT DISTINCT w.snap, o.vid, o.vid, CAST(0 AS BIGINT) FROM {weights} w, ({origins}) o
   UNION
-  SELECT * FROM (SELECT x.snap, x.origin, ar.dst, min(x.dist_ms + ar.w_ms) AS dn FROM {name} x JOIN ar ON ar.snap = x.snap AND ar.src = x.reached WHERE x.dist_ms + ar.w_ms <= {r_ms} GROUP BY ALL) n
+  SELECT * FROM (SELECT x.snap, x.origin, ar.dst, min(x.dist_ms + ar.w_ms) AS dn FROM {name} x JOIN ar_{name} ar ON ar.snap = x.snap AND ar.src = x.reached WHERE x.dist_ms + ar.w_ms <= {r_ms} GROUP BY ALL) n
   WHERE NOT EXISTS (SELECT 1 FROM recurring.{name} k WHERE k.snap = n.snap AND k.origin = n.origin AND k.reached = n.dst AND k.dist_ms <= n.dn))"""
 
 

@@ -11,6 +11,7 @@ from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
+from ..functions.shared import cut
 from .tables import table
 
 PERIODS = ("year", "quarter", "month", "week")
@@ -56,8 +57,8 @@ def grid_edges(vertices: DataFrame) -> DataFrame:
 
 def period_snapshots(spark: SparkSession, sf_dir: str, period: str) -> DataFrame:
     """(snap, t_from): the distinct periods of ship dates, numbered in time order."""
-    cut = table(spark, sf_dir, "lineitem").select(F.date_trunc(period, "l_shipdate").cast("date").alias("t_from")).distinct()
-    return cut.select((F.row_number().over(Window.orderBy("t_from")) - 1).alias("snap"), "t_from")  # a row per period
+    begins = table(spark, sf_dir, "lineitem").select(F.date_trunc(period, "l_shipdate").cast("date").alias("t_from")).distinct()
+    return begins.select((F.row_number().over(Window.orderBy("t_from")) - 1).alias("snap"), "t_from")  # a row per period
 
 
 def grid_loads(spark: SparkSession, sf_dir: str, period: str, snapshots: DataFrame) -> DataFrame:
@@ -145,12 +146,12 @@ def trade_net(spark: SparkSession, sf_dir: str) -> Network:
     """25 nations; an edge's weight in a quarter is the mean unit price of the lines that moved along it."""
     nation = table(spark, sf_dir, "nation")
     vertices = nation.select(F.col("n_nationkey").cast("bigint").alias("vid"), F.expr("n_nationkey div 5").alias("x"), F.expr("cast(n_nationkey % 5 as bigint)").alias("y"))
-    moves = trade_moves(spark, sf_dir)
-    edges = moves.select("eid").distinct().selectExpr("eid", "eid div 25 as src", "eid % 25 as dst").selectExpr("eid", "src", "dst", "100 * (abs(src div 5 - dst div 5) + abs(src % 5 - dst % 5)) as length_m")
+    moves = cut(trade_moves(spark, sf_dir))  # the scan, join and sort of all lines happen once
     snapshots = period_snapshots(spark, sf_dir, "quarter")
-    cells = moves.join(F.broadcast(snapshots), "t_from").groupBy("snap", "eid").agg(F.sum("cents").alias("cents"), F.sum("qty").alias("qty"))
+    cells = cut(moves.join(F.broadcast(snapshots), "t_from").groupBy("snap", "eid").agg(F.sum("cents").alias("cents"), F.sum("qty").alias("qty")))
+    edges = cells.select("eid").distinct().selectExpr("eid", "eid div 25 as src", "eid % 25 as dst").selectExpr("eid", "src", "dst", "100 * (abs(src div 5 - dst div 5) + abs(src % 5 - dst % 5)) as length_m")
     seen = cells.select("snap", "eid", div("10 * cents", "qty").alias("w_ms"))
-    of_edge = cells.groupBy("eid").agg(div("10 * sum(cents)", "sum(qty)").alias("edge_ms"))
+    of_edge = F.broadcast(cells.groupBy("eid").agg(div("10 * sum(cents)", "sum(qty)").alias("edge_ms")))  # 600 edges at most
     of_net = cells.agg(div("10 * sum(cents)", "sum(qty)").alias("net_ms"))
     from ..operators import snapshots as snap_ops
 
@@ -169,11 +170,11 @@ def event_net(spark: SparkSession, sf_dir: str) -> Network:
     """Ten buckets; hourly snapshots folded to one day; unseen cells are filled."""
     from ..operators import snapshots as snap_ops
 
-    moves = event_moves(spark, sf_dir).withColumn("snap", F.hour("ts"))
+    moves = cut(event_moves(spark, sf_dir).withColumn("snap", F.hour("ts")))
     vertices = spark.range(10).selectExpr("id as vid", "id div 4 as x", "id % 4 as y")
     edges = moves.select("eid").distinct().selectExpr("eid", "eid div 10 as src", "eid % 10 as dst", "cast(100 as bigint) as length_m")
     snapshots = spark.range(24).selectExpr("cast(id as int) as snap")
     seen = snap_ops.profile(moves)
-    of_edge = moves.groupBy("eid").agg(div("sum(obs_ms)", "count(*)").alias("edge_ms"))
+    of_edge = F.broadcast(moves.groupBy("eid").agg(div("sum(obs_ms)", "count(*)").alias("edge_ms")))  # 90 edges at most
     of_net = moves.agg(div("sum(obs_ms)", "count(*)").alias("net_ms"))
     return Network(vertices, edges, snapshots, snap_ops.fill(seen, edges, snapshots, of_edge, of_net), moves.select("pid", "seq", "eid"))

@@ -28,11 +28,7 @@ def con(sf):
     return c
 
 
-#: On 200 parts and 90 edges these are covered by the same query under another name, or need the larger tables.
-SKIP = {"path_representation", "path_coverage", "path_variability", "path_jaccard_pairs", "edge_l2_from_gram"}
-
-
-@pytest.mark.parametrize("name", sorted(set(queries.SQL) - SKIP))
+@pytest.mark.parametrize("name", sorted(queries.SQL))
 def test_same_rows(spark, sf, con, name):
     df = queries.QUERIES[name](spark, sf)
     cur = con.execute(queries.SQL[name])
