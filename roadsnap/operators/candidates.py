@@ -42,7 +42,8 @@ def grow(edges: DataFrame, begun: DataFrame, seed: int, cvs: DataFrame | None =
     out_edges = edges.select(F.col("src").alias("head"), F.col("eid").alias("next"), F.col("dst").alias("to"), F.col("length_m").alias("more"), F.col("src").alias("from"))
     if cvs is not None:
         out_edges = out_edges.join(cvs.select(F.col("eid").alias("next"), "cv"), "next").filter(F.col("cv") >= (floor or 0.0))
-    done, live, step = None, begun.withColumn("prev", F.lit(-1).cast("bigint")), 0
+    came_from = edges.select(F.col("eid").alias("begin"), F.col("src").alias("prev"))
+    done, live, step = None, begun.withColumn("begin", F.element_at("edges", 1)).join(came_from, "begin").drop("begin"), 0
     while True:
         for _ in range(every):
             step += 1
