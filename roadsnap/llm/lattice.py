@@ -13,7 +13,8 @@ of its texts from it.  Words that it lacks get the same fold in numpy, once a ta
 depend on which words the table holds.
 
 Defined results: a null or empty text has no ids; decode(encode(t)) is t for every text that is valid and does
-not itself contain the mark.
+not itself contain the mark; every row has one row in the result, null and repeated doc_ids too; texts of any length are
+read whole; only doc_id and text are read, so other columns do not matter.
 """
 
 from __future__ import annotations

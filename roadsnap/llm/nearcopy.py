@@ -13,7 +13,7 @@ component; then hubs leave the bucket, and a bucket whose members are all in one
 with equal shingle counts are one node throughout.  Of every connected group the least doc_id stays.
 
 Defined results: a null or empty text has no shingle and stays; a text of fewer than `k` words is one
-shingle; rows that share a doc_id stay or go together, and the first of their texts is compared; a row with a null
+shingle; rows that share a doc_id stay or go together, and one of their texts is verified; a row with a null
 doc_id stays; texts of any length are read whole; extra columns may have any name and come back as they are.
 """
 

@@ -1,14 +1,16 @@
 """Private data: a linear-chain conditional random field over word-shape features.
 
 A text is cut to lines and these to tokens (runs of letters, digits and ``.@-_+()/:=``; runs of other
-punctuation).  A token's features are its shape, lengths, checks such as the card-number check digit, and a
-few key words; the field sees those of the two tokens on either side too.  Weights are fitted by gradient
-ascent on the likelihood of a small labelled table (`labelled_table`), and texts are decoded by Viterbi
-for all lines of a batch at once.  Found spans are trimmed of outer punctuation and masked as ``[EMAIL]``,
-``[PHONE]``, ``[CARD]``, ``[IP]`` or ``[SECRET]``.
-
-Defined results: a null text stays null and has no spans; an empty text stays empty; n_chars, where the
-table has it, is the length of the masked text for texts that changed.
+punctuation).  A token's features are its shape (runs of capitals, small letters and digits, with what stands between
+them), the shapes and letters of its ends, counts of its digits and marks, its classes of characters, whether its numbers
+are small and its digits' checksum; none of them tells a kind by itself.  The field sees those of the two tokens on either
+side too, and learns from a small labelled table (a DataFrame, or the one that `labelled_table` draws from templates) how
+they combine, by gradient ascent on its likelihood.  Texts are decoded by Viterbi for all lines of a batch at once.  Found
+spans are trimmed of outer punctuation and masked as ``[EMAIL]``, ``[PHONE]``, ``[CARD]``, ``[IP]`` or ``[SECRET]``.
+
+Defined results: a null text stays null and has no spans; an empty text stays empty; texts of any length are read
+whole; every row has one row in the result, null and repeated doc_ids too; n_chars, where the table has it, is the length of
+the masked text for texts that changed; extra columns may have any name, but `spans` is replaced.
 """
 
 from __future__ import annotations
@@ -26,6 +28,7 @@ from . import text as tk
 LABELS = ("O", "EMAIL", "PHONE", "CARD", "IP", "SECRET")
 PHONE = LABELS.index("PHONE")  # the only kind that may take several tokens
 KEYWORDS = ("token", "password", "passwd", "secret", "key", "api_key", "apikey", "pwd", "=", "version", "bearer")
+_KEYS = frozenset(k.encode() for k in KEYWORDS)
 WINDOW = (-2, -1, 0, 1, 2)
 _TOKEN = re.compile(rb"[0-9A-Za-z\x80-\xff.@\-_+()/:=]+|[!-'*,;<>?\[\\\]^`{|}~]+")
 _TRIM = {"EMAIL": b"._-+()/:=@", "PHONE": b"._-)/:=@", "CARD": b"._-+()/:=@", "IP": b"._-+()/:=@", "SECRET": b".()/:"}
@@ -39,44 +42,40 @@ def luhn(digits: str) -> bool:
     return total % 10 == 0
 
 
+_CLASS = bytes(ord("9") if 48 <= c < 58 else ord("X") if 65 <= c < 91 else ord("x") if 97 <= c < 123 or c >= 128 else c for c in range(256))
+_RUN = re.compile(rb"([9Xx])\1+")
+_KINDS = ((re.compile(rb"[0-9]+"), "digits only"), (re.compile(rb"[0-9a-f]+"), "hex"), (re.compile(rb"[0-9A-F]+"), "HEX"), (re.compile(rb"[A-Z0-9]+"), "capitals"), (re.compile(rb"[a-z0-9]+"), "small"), (re.compile(rb"[A-Za-z0-9]+"), "letters and digits"))
+
+
 def special_features(token: bytes) -> tuple:
     """Features of a token that has a digit, '@' or '=', or is a run of punctuation."""
-    s = token.decode("utf-8", "replace")
-    core = s.strip("._-+()/:=")
-    digits = sum(c.isdigit() for c in s)
-    shape = re.sub(r"9+", "9", re.sub(r"[^\W\d_A-Z]+", "x", re.sub(r"[A-Z]+", "X", re.sub(r"[0-9]+", "9", s))))
-    out = ["shape " + shape[:24], f"digits {min(digits, 20) if digits < 13 else '13-19' if digits < 20 else '20+'}", f"len {min(len(core), 48) // 6}"]
-    if re.fullmatch(r"[0-9]{13,19}", core):
-        out.append("card ok" if luhn(core) else "card bad")
-    if re.fullmatch(r"[0-9a-f]{24,}", core):
-        out.append("hex")
-    if re.fullmatch(r"[A-Z0-9]{16,}", core) and 0 < digits < len(core):
-        out.append("upper hex" if re.fullmatch(r"[A-F0-9]+", core) else "upper key")
-    if re.fullmatch(r"AKIA[A-Z0-9]{16}", core):
-        out.append("access key")
-    elif re.fullmatch(r"[A-Z]{16,}", core):
-        out.append("upper long")
-    if re.fullmatch(r"[A-Za-z_]*(pass|pwd|secret|token|key)[A-Za-z_]*=\S{6,}", core, re.I):
-        out.append("assigned")
-    parts = core.split(".")
-    if len(parts) == 4 and all(p.isdigit() and len(p) < 4 for p in parts):
-        out.append("octets" if all(int(p) < 256 for p in parts) else "no octets")
-    if re.fullmatch(r"[^@\s]+@[^@\s]+\.[^@\s.]{2,}", core):
-        out.append("mail")
-    if re.fullmatch(r"\+[0-9]{1,3}", s.strip(".,")):
-        out.append("dial code")
-    if re.fullmatch(r"\(?[0-9]{3}\)?", s.strip(".,")):
-        out.append("area")
-    if re.fullmatch(r"[0-9]{3}[-.][0-9]{4}", core):
-        out.append("subscriber")
-    if s.lower() in KEYWORDS:
-        out.append("key " + s.lower())
+    core = token.strip(b"._-+()/:=")
+    shape, numbers = token.translate(_CLASS), re.findall(rb"[0-9]+", token)
+    bare = core.translate(_CLASS)
+    digits = sum(map(len, numbers))
+    out = [
+        "shape " + _RUN.sub(rb"\1", shape).decode(), "inner " + _RUN.sub(rb"\1", bare).decode(), "begins " + bare[:3].decode(), "ends " + bare[-4:].decode(),
+        f"digits {digits if digits < 20 else '20+'}", f"length {min(len(core), 60) // 4}", f"numbers {min(len(numbers), 5)}",
+    ]
+    out += [f"{chr(c)} {min(token.count(c), 4)}" for c in b"@.-=+(" if c in token]
+    kind = next((name for form, name in _KINDS if form.fullmatch(core)), "mixed")
+    out.append("class " + kind)
+    out.append(f"class and length {kind} {len(core) if len(core) < 24 else len(core) // 8 * 8}")
+    letters = re.match(rb"[A-Za-z_]{3,}", core)
+    if letters:
+        out.append("word " + letters.group()[:4].lower().decode())
+    if numbers:
+        out.append("small numbers" if all(len(x) < 4 and int(x) < 256 for x in numbers) else "a large number")
+    if digits == len(core) >= 12:
+        out.append("checksum " + str(luhn(core.decode())))
+    if token.lower() in _KEYS:
+        out.append("key " + token.lower().decode())
     return tuple(out)
 
 
 def features(token: bytes) -> tuple:
     s = token.lower()
-    if s.decode("utf-8", "replace") in KEYWORDS:
+    if s in _KEYS:
         return ("key " + s.decode(),)
     if re.search(rb"[0-9@=]", token) or not re.search(rb"[0-9A-Za-z\x80-\xff]", token) or re.fullmatch(rb"[A-Z]{16,}[^a-z]*", token):
         return special_features(token)
@@ -193,34 +192,35 @@ def _log_sum(x, axis):
     return (m + np.log(np.exp(x - m).sum(axis, keepdims=True))).squeeze(axis)
 
 
-def fit(table, steps: int = 60, rate: float = 0.2, l2: float = 1e-3) -> Field:
-    """Adam on the penalised likelihood, gradients by forward-backward over all sequences at once."""
-    n, longest, size = len(table), max(len(t) for t, _ in table), len(LABELS)
-    vocabulary: dict[str, int] = {"edge": 0}
-    for tokens, _ in table:
-        for t in tokens:
-            for f in features(t.encode()):
-                vocabulary.setdefault(f, len(vocabulary))
-    width = max(len(features(t.encode())) for tokens, _ in table for t in tokens)
-    none = len(vocabulary)
-    pad = max(abs(w) for w in WINDOW)
-    ids = np.full((n, longest + 2 * pad, width), none)
-    gold = np.zeros((n, longest), int)
-    mask = np.zeros((n, longest), bool)
-    for i, (tokens, labels) in enumerate(table):
-        ids[i, :, 0] = 0
-        for j, t in enumerate(tokens):
-            f = [vocabulary[x] for x in features(t.encode())]
-            ids[i, pad + j] = none
-            ids[i, pad + j, : len(f)] = f
-        gold[i, : len(labels)], mask[i, : len(labels)] = labels, True
-    emission, transition = np.zeros((len(WINDOW), none + 1, size)), np.zeros((size, size))
-    slots = [(e, np.zeros_like(e), np.zeros_like(e)) for e in (emission, transition)]
-    onehot = np.eye(size)[gold] * mask[:, :, None]
-    for step in range(1, steps + 1):
+class Sequences:
+    """A labelled table as arrays: feature ids by place, labels and mask; `likelihood` is what fit() climbs."""
+
+    def __init__(self, table):
+        n, longest = len(table), max(len(t) for t, _ in table)
+        self.vocabulary: dict[str, int] = {"edge": 0}
+        feats = [[features(t.encode()) for t in tokens] for tokens, _ in table]
+        for f in (f for each in feats for token in each for f in token):
+            self.vocabulary.setdefault(f, len(self.vocabulary))
+        self.none, self.pad, self.longest = len(self.vocabulary), max(abs(w) for w in WINDOW), longest
+        width = max((len(t) for each in feats for t in each), default=1)
+        self.ids = np.full((n, longest + 2 * self.pad, width), self.none)
+        gold = np.zeros((n, longest), int)
+        self.mask = np.zeros((n, longest), bool)
+        self.ids[:, :, 0] = 0
+        for i, (each, (_, labels)) in enumerate(zip(feats, table)):
+            for j, t in enumerate(each):
+                f = [self.vocabulary[x] for x in t]
+                self.ids[i, self.pad + j] = self.none
+                self.ids[i, self.pad + j, : len(f)] = f
+            gold[i, : len(labels)], self.mask[i, : len(labels)] = labels, True
+        self.gold = np.eye(len(LABELS))[gold] * self.mask[:, :, None]
+
+    def likelihood(self, emission, transition):
+        """(log likelihood, its gradients by emission and transition), from forward and backward sums of all sequences at once."""
+        ids, mask, gold, longest, pad = self.ids, self.mask, self.gold, self.longest, self.pad
+        n, size = len(ids), len(LABELS)
         score = sum(emission[w][ids[:, pad + o : pad + o + longest]].sum(2) for w, o in enumerate(WINDOW))
-        alpha = np.zeros((n, longest, size))
-        beta = np.zeros((n, longest, size))
+        alpha, beta = np.zeros((n, longest, size)), np.zeros((n, longest, size))
         alpha[:, 0] = score[:, 0]
         for t in range(1, longest):
             a = _log_sum(alpha[:, t - 1, :, None] + transition, 1) + score[:, t]
@@ -230,23 +230,50 @@ def fit(table, steps: int = 60, rate: float = 0.2, l2: float = 1e-3) -> Field:
             beta[:, t] = np.where(mask[:, t + 1, None], b, 0)
         z = _log_sum(alpha[:, -1], 1)
         p = np.exp(alpha + beta - z[:, None, None]) * mask[:, :, None]
-        both = mask[:, 1:]
-        pair = np.exp(alpha[:, :-1, :, None] + transition + (score[:, 1:] + beta[:, 1:])[:, :, None, :] - z[:, None, None, None]) * both[:, :, None, None]
-        g_transition = (onehot[:, :-1, :, None] * onehot[:, 1:, None, :]).sum((0, 1)) - pair.sum((0, 1))
-        g_emission = np.zeros_like(emission)
-        diff = onehot - p
+        both = (mask[:, 1:] & mask[:, :-1])[:, :, None, None]
+        pair = np.exp(alpha[:, :-1, :, None] + transition + (score[:, 1:] + beta[:, 1:])[:, :, None, :] - z[:, None, None, None]) * both
+        pairs = gold[:, :-1, :, None] * gold[:, 1:, None, :]
+        g_emission, diff = np.zeros_like(emission), gold - p
         for w, o in enumerate(WINDOW):
-            for c in range(width):
-                at = ids[:, pad + o : pad + o + longest, c].ravel()
-                for y in range(size):
-                    g_emission[w, :, y] += np.bincount(at, diff[:, :, y].ravel(), none + 1)
-        for (value, m, v), g in zip(slots, (g_emission, g_transition)):
-            g = g / n - l2 * value
+            at = ids[:, pad + o : pad + o + longest]
+            for y in range(size):
+                spread = np.broadcast_to(diff[:, :, y, None], at.shape)
+                g_emission[w, :, y] = np.bincount(at.ravel(), spread.ravel(), self.none + 1)
+        value = (gold * score).sum() + (pairs * transition).sum() - z.sum()
+        return value, g_emission, (pairs - pair).sum((0, 1))
+
+
+def fit(table, steps: int = 60, rate: float = 0.2, l2: float = 1e-3) -> Field:
+    """Adam on the penalised likelihood of (tokens, label numbers) sequences; with none, every token stays."""
+    if not table:
+        return Field({"edge": 0}, np.zeros((len(WINDOW), 1, len(LABELS))), np.zeros((len(LABELS), len(LABELS))))
+    seq, size = Sequences(table), len(LABELS)
+    emission, transition = np.zeros((len(WINDOW), seq.none + 1, size)), np.zeros((size, size))
+    slots = [(e, np.zeros_like(e), np.zeros_like(e)) for e in (emission, transition)]
+    for step in range(1, steps + 1):
+        _, *gradients = seq.likelihood(emission, transition)
+        for (value, m, v), g in zip(slots, gradients):
+            g = g / len(table) - l2 * value
             m += 0.1 * (g - m)
             v += 0.01 * (g * g - v)
             value += rate * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.99**step)) + 1e-8)
-        emission[:, none] = 0
-    return Field(vocabulary, emission[:, :none], transition)
+        emission[:, seq.none] = 0
+    return Field(seq.vocabulary, emission[:, : seq.none], transition)
+
+
+def from_frame(labelled: DataFrame) -> list:
+    """Sequences for fit() from a small DataFrame (tokens array<string>, labels array<string>)."""
+    number = {name: i for i, name in enumerate(LABELS)}
+    return [(r["tokens"], [number[x] for x in r["labels"]]) for r in labelled.select("tokens", "labels").dropna().orderBy("tokens").collect() if r["tokens"]]
+
+
+def by_kind(found, truth) -> dict[str, tuple[float, float]]:
+    """(precision, recall) of each kind, from sets of (text, start, end, kind)."""
+    out = {}
+    for kind in LABELS[1:]:
+        a, b = {x for x in found if x[-1] == kind}, {x for x in truth if x[-1] == kind}
+        out[kind] = (len(a & b) / len(a) if a else 1.0, len(a & b) / len(b) if b else 1.0)
+    return out
 
 
 # ---------------------------------------------------------------- decoding
@@ -378,10 +405,14 @@ class Decoder:
 SPANS = "array<struct<kind:string,start:int,end:int>>"
 
 
-def redact(docs: DataFrame, field: Field | None = None) -> DataFrame:
-    """All columns of `docs`; text masked; spans: what was found, by characters of the text as it came."""
+def redact(docs: DataFrame, field: Field | None = None, labelled: DataFrame | None = None) -> DataFrame:
+    """All columns of `docs`; text masked; spans: what was found, by characters of the text as it came.
+
+    The field is the given one, or fitted to `labelled` (see from_frame), or to the table drawn from templates.
+    """
     docs = tk.drop_columns(docs, ["spans"])
-    model = tk.ship(docs.sparkSession, field or fit(labelled_table()))
+    field = field or fit(labelled_table() if labelled is None else from_frame(labelled))
+    model = tk.ship(docs.sparkSession, field)
     names = docs.columns
     kind = pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int32()), ("end", pa.int32())]))
 

@@ -6,7 +6,9 @@ Two heads share the features: quality and toxicity.  A text is kept where qualit
 `min_quality` and toxicity at most `max_toxic`.
 
 Defined results: a null or empty text has only the constant; a text with a null label is not used for
-fitting; with no labelled rows at all every probability is 0.5 and every text is kept.
+fitting, and of several labels of a doc_id the greatest counts; rows without a doc_id or that share one are scored as all
+others; with no labelled rows at all every probability is 0.5 and every text is kept; texts of any length are read whole;
+extra columns may have any name, but p_quality and p_toxic are replaced.
 """
 
 from __future__ import annotations

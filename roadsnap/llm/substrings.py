@@ -364,7 +364,10 @@ def _cut(names, spans_name, length):
 
 
 def dedup(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, per_shard: int = SEGMENTS_PER_SHARD) -> DataFrame:
-    """`docs` without later copies of passages; also removed_words and copied_from (doc_ids that have them first)."""
+    """`docs` without later copies of passages; also removed_words and copied_from.
+
+    copied_from: doc_ids of earlier texts with the same words, namely the first with an equal segment or an equal window.
+    """
     docs = tk.drop_columns(docs, ["removed_words", "copied_from"])
     found = repeats(docs, length, gram, per_shard)
     spans, did, rid = tk.fresh(docs, "spans", "did", "rid")
