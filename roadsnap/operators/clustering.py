@@ -10,7 +10,7 @@ from __future__ import annotations
 import numpy as np
 from pyspark.sql import DataFrame, functions as F
 
-from ..functions.shared import cut
+from ..functions.shared import cut, drop
 
 MAX_N = 5000
 
@@ -174,6 +174,37 @@ def agglomerative(dist: DataFrame, linkage: str = "complete", tau: float | None
     return _frame(dist.sparkSession, ids, label, *medoids(ids, d, label, rule))
 
 
+def agglomerative_rounds(dist: DataFrame, snaps: DataFrame, tau: float, linkage: str = "complete") -> DataFrame:
+    """(snap, cluster) for any number of snapshots: each round merges all clusters that are nearest to each other.
+
+    dist: (i, j, dist), i < j.  These linkages never bring a merged cluster closer than its parts were, so merging all mutual
+    pairs at once gives the clusters of merging the closest pair at a time, unless distances tie.  A pair
+    without a distance is infinitely far apart: complete and average linkage do not merge across it.
+    """
+    how = {"complete": F.max("d"), "single": F.min("d"), "average": F.sum(F.col("d") * F.col("c")) / F.sum("c")}[linkage]
+    label = cut(snaps.select("snap", F.col("snap").alias("cluster")))
+    pairs = dist.select("i", "j", F.col("dist").alias("d"), F.lit(1).cast("bigint").alias("c"))
+    pairs = cut(pairs.unionByName(pairs.select(F.col("j").alias("i"), F.col("i").alias("j"), "d", "c")))
+    while True:
+        near = pairs.filter(F.col("d") <= tau).groupBy("i").agg(F.min(F.struct("d", "j")).alias("n")).select("i", F.col("n.j").alias("j"))
+        back = near.select(F.col("j").alias("i"), F.col("i").alias("j"))
+        moved = cut(near.join(back, ["i", "j"]).filter("i < j").select(F.col("j").alias("old"), F.col("i").alias("new")))
+        if moved.isEmpty():
+            return label
+        now = lambda c, to: F.coalesce(to, F.col(c))
+        a, b = moved.selectExpr("old as i", "new as ni"), moved.selectExpr("old as j", "new as nj")
+        both = pairs.join(a, "i", "left").join(b, "j", "left").select(now("i", F.col("ni")).alias("i"), now("j", F.col("nj")).alias("j"), "d", "c").filter("i <> j")
+        merged = both.groupBy("i", "j").agg(how.alias("d"), F.sum("c").alias("c"))
+        size = label.join(moved.withColumnRenamed("old", "cluster"), "cluster", "left").select("snap", F.coalesce("new", "cluster").alias("cluster"))
+        new = cut(size)
+        if linkage != "single":  # pairs that miss some distance go
+            n = new.groupBy("cluster").agg(F.count("*").alias("n"))
+            merged = merged.join(n.selectExpr("cluster as i", "n as na"), "i").join(n.selectExpr("cluster as j", "n as nb"), "j").filter("c = na * nb").select("i", "j", "d", "c")
+        next_ = cut(merged)
+        drop(label, pairs, moved)
+        label, pairs = new, next_
+
+
 def components(pairs: DataFrame, ids: DataFrame) -> DataFrame:
     """(snap, cluster): connected components of pairs (i, j), which is single linkage cut at their threshold."""
     both = cut(pairs.select("i", "j").union(pairs.select(F.col("j").alias("i"), F.col("i").alias("j"))))

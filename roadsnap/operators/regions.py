@@ -4,14 +4,26 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, Window, functions as F
 
+from ..functions.shared import ranked
+
+
+def tile(rank, n, k: int):
+    """Which of k tiles, from 0, a rank of n lies in; the first n % k tiles have one more."""
+    rank = F.col(rank) if isinstance(rank, str) else rank
+    small, more = F.floor(n / k), n % k
+    wide = more * (small + 1)
+    return F.when(rank < wide, F.floor(rank / (small + 1))).otherwise(more + F.floor((rank - wide) / F.nullif(small, F.lit(0)))).cast("bigint")
+
 
 def grid(vertices: DataFrame, rows: int = 4, cols: int = 4, mode: str = "area") -> DataFrame:
     """Vertices with their region: equal-area cells of the bounding box, or stripes of equal vertex counts."""
     if mode == "count":
-        band = F.ntile(rows).over(Window.orderBy("y", "vid")) - 1
-        striped = vertices.withColumn("_row", band)
-        col = F.ntile(cols).over(Window.partitionBy("_row").orderBy("x", "vid")) - 1
-        return striped.withColumn("region", (F.col("_row") * cols + col).cast("int")).drop("_row")
+        n = vertices.count()
+        striped = ranked(vertices, "y", "vid", name="_rank").withColumn("_row", tile("_rank", F.lit(n), rows)).drop("_rank")
+        placed = ranked(striped, "_row", "x", "vid", name="_rank")
+        inside = placed.groupBy("_row").agg(F.min("_rank").alias("_least"), F.count("*").alias("_n"))  # a row per stripe
+        col = tile(F.col("_rank") - F.col("_least"), F.col("_n"), cols)
+        return placed.join(F.broadcast(inside), "_row").withColumn("region", (F.col("_row") * cols + col).cast("int")).drop("_row", "_rank", "_least", "_n")
     box = vertices.agg(F.min("x").alias("x0"), F.min("y").alias("y0"), (F.max(F.greatest("x", "y")) + 1).alias("side"))
     placed = vertices.crossJoin(F.broadcast(box)).withColumn("width", F.col("side") - F.least("x0", "y0"))
     region = F.expr(f"cast(({rows} * (y - y0) div width) * {cols} + {cols} * (x - x0) div width as int)")

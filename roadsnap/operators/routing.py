@@ -75,23 +75,34 @@ def answer(queries: DataFrame, labels: DataFrame) -> DataFrame:
     return queries.select("typ", "s", "t").join(best, ["typ", "s", "t"], "left")
 
 
-def shortest_paths(edges: DataFrame, weights: DataFrame, queries: DataFrame, places: DataFrame | None = None) -> DataFrame:
-    """(snap, s, t, dist, edges): the ways themselves, by heap searches in one task per snapshot.
+def shortest_paths(edges: DataFrame, weights: DataFrame, queries: DataFrame, places: DataFrame | None = None, blocks: int = 4) -> DataFrame:
+    """(snap, s, t, dist, edges): the ways themselves, by heap searches in one task per snapshot and block of sources.
 
-    With `places` (vid, x, y) the search is guided by the grid distance times the least weight per step,
-    which never exceeds the rest of the way; the answers are the same.
+    `queries` (s, t) are asked of every snapshot; they are dealt to blocks by their sources, and each block's task gets the
+    snapshot's graph.  With `places` (vid, x, y) the search is guided by the grid distance times the least
+    weight per step, which never exceeds the rest of the way; the answers are the same.
     """
     arcs = weights.join(edges.select("eid", "src", "dst"), "eid").select("snap", "eid", "src", "dst", "w_ms")
-    asked = [(r["s"], r["t"]) for r in queries.select("s", "t").distinct().orderBy("s", "t").toLocalIterator()]
-    at = {r["vid"]: (r["x"], r["y"]) for r in places.collect()} if places is not None else None
-
-    def run(key, table):
+    if places is not None:
+        a, b = places.selectExpr("vid as src", "x as xa", "y as ya"), places.selectExpr("vid as dst", "x as xb", "y as yb")
+        arcs = arcs.join(a, "src").join(b, "dst")
+    spark = edges.sparkSession
+    graph = arcs.crossJoin(F.broadcast(spark.range(blocks).select(F.col("id").cast("int").alias("block"))))
+    asked = queries.select("s", "t").distinct().withColumn("block", F.pmod(F.xxhash64("s"), F.lit(blocks)).cast("int"))
+    snaps = weights.select(F.col("snap").alias("of")).distinct()  # a row per snapshot
+    asked = asked.select("s", "t", F.col("block").alias("part")).crossJoin(F.broadcast(snaps))
+
+    def run(key, table, wanted):
         out, _ = _graphs(table)
+        at = {}
+        if "xa" in table.column_names:
+            cols = {c: table.column(c).to_pylist() for c in ("src", "xa", "ya", "dst", "xb", "yb")}
+            at = {**dict(zip(cols["src"], zip(cols["xa"], cols["ya"]))), **dict(zip(cols["dst"], zip(cols["xb"], cols["yb"])))}
         least = min((w for vs in out.values() for _, w, _ in vs), default=0)
         rows = []
-        for s, t in asked:
-            guide = (lambda v: 0) if at is None else (lambda v: least * (abs(at[v][0] - at[t][0]) + abs(at[v][1] - at[t][1])))
-            dist, via, done, heap = {s: 0}, {}, set(), [(guide(s), s)]
+        for s, t in sorted(zip(wanted.column("s").to_pylist(), wanted.column("t").to_pylist())):
+            guide = (lambda v: 0) if t not in at else (lambda v: least * (abs(at[v][0] - at[t][0]) + abs(at[v][1] - at[t][1])))
+            dist, via, done, heap = {s: 0}, {}, set(), [(guide(s) if s in at else 0, s)]
             while heap:
                 _, v = heapq.heappop(heap)
                 if v == t:
@@ -110,9 +121,10 @@ def shortest_paths(edges: DataFrame, weights: DataFrame, queries: DataFrame, pla
                 way.append(e)
             rows.append((s, t, dist.get(t), way[::-1] if t in dist else None))
         s, t, d, way = zip(*rows) if rows else ((), (), (), ())
-        return pa.table([pa.array([key[0].as_py()] * len(s), pa.int32()), pa.array(s, pa.int64()), pa.array(t, pa.int64()), pa.array(d, pa.int64()), pa.array(way, pa.list_(pa.int64()))], names=["snap", "s", "t", "dist", "edges"])
+        snap = (wanted.column("of") if wanted.num_rows else table.column("snap"))[0].as_py()
+        return pa.table([pa.array([snap] * len(s), pa.int32()), pa.array(s, pa.int64()), pa.array(t, pa.int64()), pa.array(d, pa.int64()), pa.array(way, pa.list_(pa.int64()))], names=["snap", "s", "t", "dist", "edges"])
 
-    return arcs.groupBy("snap").applyInArrow(run, "snap int, s bigint, t bigint, dist bigint, edges array<bigint>")
+    return graph.groupBy("snap", "block").cogroup(asked.groupBy("of", "part")).applyInArrow(run, "snap int, s bigint, t bigint, dist bigint, edges array<bigint>")
 
 
 def regret(ways: DataFrame, typical: DataFrame, weights: DataFrame, actual: DataFrame) -> DataFrame:

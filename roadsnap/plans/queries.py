@@ -437,6 +437,15 @@ def agglomerative_single(spark, sf_dir):
     return clustering.agglomerative(_trade_dist(spark, sf_dir), "single", k=6)
 
 
+@query()
+def agglomerative_rounds(spark, sf_dir):
+    """Complete linkage under a threshold by rounds of mutually nearest clusters, which no number of snapshots limits."""
+    net = nets.trade_net(spark, sf_dir)
+    dist = _trade_dist(spark, sf_dir)
+    tau = dist.agg(F.percentile("dist", F.lit(0.5))).first()[0]
+    return clustering.agglomerative_rounds(dist, net.snapshots, tau)
+
+
 @query()
 def agglomerative_threshold(spark, sf_dir):
     dist = _trade_dist(spark, sf_dir)

@@ -157,6 +157,16 @@ def test_agglomeration_equals_a_naive_one(linkage):
         assert clustering.agglomerate(d, linkage, **kw).tolist() == naive_agglomerate(d, linkage, **kw)
 
 
+@pytest.mark.parametrize("linkage", ["complete", "average", "single"])
+def test_agglomeration_by_rounds(spark, linkage):
+    x = np.random.default_rng(8).normal(size=(18, 2))
+    d = np.sqrt(((x[:, None] - x[None]) ** 2).sum(2))
+    dist = spark.createDataFrame([(i, j, float(d[i, j])) for i, j in combinations(range(18), 2)], "i int, j int, dist double")
+    got = dict(rows_of(clustering.agglomerative_rounds(dist, spark.range(20).selectExpr("cast(id as int) as snap"), 0.9, linkage)))
+    want = naive_agglomerate(d, linkage, tau=0.9)
+    assert len(set(want)) < 18 and all((got[i] == got[j]) == (want[i] == want[j]) for i, j in combinations(range(18), 2)) and got[18] == 18 and got[19] == 19
+
+
 def test_agglomeration_of_one_snapshot_and_missing_pairs(spark):
     none = spark.createDataFrame([], "i int, j int, dist double")
     one = spark.createDataFrame([(7,)], "snap int")
