@@ -2,7 +2,7 @@
 
 A level array counts the partly filled windows by fill level.  Every arriving piece goes to the level
 (0: a new window) for which the sum of squared counts after placing it is least; a window that becomes
-full leaves the array.  Ties go to the fuller level, of one level's windows to the one opened first.
+full leaves the array.  Ties go to the fuller level, of one level's windows to the one that came to it first.
 A text longer than a window fills whole windows and arrives with its rest.
 
 Texts are dealt to shards of consecutive doc_ids (`per_shard` of them), so where a text goes depends neither on the
@@ -77,38 +77,45 @@ class Packer:
 SCHEMA = "doc_id long, piece int, shard long, window int, position int, n_tokens int, ids array<int>"
 
 
-def place_all(sizes, window: int = WINDOW):
+def place_all(sizes, packer: Packer) -> np.ndarray:
     """(text, piece, window, position, tokens) of texts of these sizes in order, as arrays; window -1: no tokens."""
-    packer, cells = Packer(window), []
+    cells = []
     for i, size in enumerate(sizes):
         cells += [(i, j, *g) for j, g in enumerate(packer.add(size) or [(-1, -1, 0)])]
     return np.array(cells, np.int64).reshape(-1, 5).T
 
 
-def _pack_shard(window):
-    def run(key, table):
-        table = table.take(pa.compute.sort_indices(table, sort_keys=[("doc_id", "ascending"), ("n_tokens", "ascending")], null_placement="at_start"))
-        text, piece, at, position, size = place_all(table.column("n_tokens").to_pylist(), window)
-        # texts and their pieces are in order now, so the ids of all pieces follow each other
-        ids, none = table.column("ids").combine_chunks().flatten(), at < 0
-        return pa.table(
-            [table.column("doc_id").take(pa.array(text)), pa.array(piece, pa.int32()), pa.array(np.full(len(text), key[0].as_py()), pa.int64()),
-             pa.array(at.astype(np.int32), pa.int32(), mask=none), pa.array(position.astype(np.int32), pa.int32(), mask=none), pa.array(size, pa.int32()),
-             pa.ListArray.from_arrays(pa.array(np.append(0, np.cumsum(size)), pa.int32()), ids)],
-            names=["doc_id", "piece", "shard", "window", "position", "n_tokens", "ids"],
-        )
+def _pack_sorted(window):
+    def run(batches):
+        """Rows come shard by shard, in order; the pieces of a batch leave with it, so no shard is held."""
+        packer, now = None, None
+        for b in batches:
+            shard = b.column("shard").to_numpy()
+            edge = np.concatenate([[0], np.flatnonzero(shard[1:] != shard[:-1]) + 1, [len(shard)]]) if len(shard) else [0]
+            for lo, hi in zip(edge[:-1], edge[1:]):
+                if packer is None or shard[lo] != now:
+                    packer, now = Packer(window), shard[lo]
+                part = b.slice(lo, hi - lo)
+                text, piece, at, position, size = place_all(part.column("n_tokens").to_pylist(), packer)
+                none = at < 0
+                yield pa.RecordBatch.from_arrays(
+                    [part.column("doc_id").take(pa.array(text)), pa.array(piece, pa.int32()), part.column("shard").take(pa.array(text)),
+                     pa.array(at.astype(np.int32), pa.int32(), mask=none), pa.array(position.astype(np.int32), pa.int32(), mask=none), pa.array(size, pa.int32()),
+                     pa.ListArray.from_arrays(pa.array(np.append(0, np.cumsum(size)), pa.int32()), part.column("ids").flatten())],
+                    names=["doc_id", "piece", "shard", "window", "position", "n_tokens", "ids"],
+                )
 
     return run
 
 
 def pack_ids(coded: DataFrame, window: int = WINDOW, per_shard: int = PER_SHARD, shards: int | None = None) -> DataFrame:
     """Pack rows of (doc_id, n_tokens, ids)."""
-    spark = coded.sparkSession
+    parts = int(coded.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     by = F.expr(f"floor(doc_id / {per_shard})") if shards is None else F.pmod(F.xxhash64("doc_id"), F.lit(shards))
     dealt = coded.select("doc_id", "n_tokens", "ids", F.coalesce(by.cast("long"), F.lit(-1)).alias("shard"))
-    # a fixed number of partitions: shards are few and heavy, and would else be put together in one task
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    return dealt.repartition(parts, "shard").groupBy("shard").applyInArrow(_pack_shard(window), SCHEMA)
+    # shards are heavy, so they are dealt evenly by number; a hash would leave some tasks without and give others several
+    placed = dealt.repartitionById(parts, F.pmod("shard", F.lit(parts)).cast("int")).sortWithinPartitions("shard", F.asc_nulls_first("doc_id"), "n_tokens")
+    return placed.mapInArrow(_pack_sorted(window), SCHEMA)
 
 
 def pack(docs: DataFrame, window: int = WINDOW, folder: str = tok.TOKENIZERS, per_shard: int = PER_SHARD, shards: int | None = None) -> DataFrame:
