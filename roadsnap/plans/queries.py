@@ -983,6 +983,11 @@ def planted_study(spark, sf_dir, q=None) -> methods.Study:
     return methods.Study(net, 288, R_MS, q or 20)
 
 
+def grid_study(spark, sf_dir, q=Q) -> methods.Study:
+    net = nets.grid_net(spark, sf_dir)
+    return methods.Study(net, n_of(net), R_MS, q)
+
+
 def trade_study(spark, sf_dir, q=8) -> methods.Study:
     """The trade net, with a radius of half its edges' travel times."""
     net = nets.trade_net(spark, sf_dir)
@@ -1079,15 +1084,16 @@ def w4_regimes_found(spark, sf_dir):
 def w5_matching_time(spark, sf_dir):
     """(form, k, seconds, searches, evaluations): matching one new snapshot of the planted day to k typical ones.
 
-    Seconds are the better of two clocks, for conversion, for k distances, and as fitted by t_r + k * t_sim; the empty job's time
+    Typical vertices and paths are those of the quarters' traffic; matched are the day's 288 slots.  Seconds are the better of two clocks, for conversion, for k distances, and as fitted by t_r + k * t_sim; the empty job's time
     is their floor.  Searches and distance evaluations are what the machine does not change.
     """
     import time
 
-    study = planted_study(spark, sf_dir)
-    w, hot = study.weights, cut(study.typical_vertices().select("vid"))
+    study = grid_study(spark, sf_dir)
+    w, hot = cut(nets.planted_net(spark, sf_dir).weights), cut(study.typical_vertices().select("vid"))
     tp = cut(study.typical_paths("constrained"))
-    edge, sets = cut(paths.represent(tp, w)), cut(study.typical_sets())
+    edge = cut(paths.represent(tp, w))
+    sets = cut(hotspots.rep_set(reach.bounded(study.edges, w, hot, R_MS, "block", study.net.vertices), hot))
     near = cut(reach.neighbourhood(study.edges, w, hot, R_MS))  # made once, with the model
     new = cut(w.filter("snap = 100"))
     q = hot.count()

@@ -144,6 +144,15 @@ def test_late_rows_are_dropped(spark, tmp_path):
     assert os.path.isdir(src)
 
 
+def test_functions_and_views_for_sql(spark, grid):
+    from roadsnap.functions import udx
+
+    udx.register(spark)
+    udx.views(grid)
+    assert spark.sql("SELECT l2(array(0D, 0D), array(3D, 4D)) AS d").first()["d"] == 5.0
+    assert spark.sql("SELECT count(*) AS n FROM network_weights w JOIN network_edges e USING (eid) JOIN network_snapshots s USING (snap)").first()["n"] == 28 * 742
+
+
 def test_plans(spark, sf, grid):
     lines = tables.table(spark, sf, "lineitem").filter("l_quantity > 45").select("l_orderkey")
     assert "GreaterThan(l_quantity,45.0)" in inspect.pushed_filters(lines)
