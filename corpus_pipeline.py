@@ -6,28 +6,31 @@ from roadsnap.llm import exact, nearcopy, packing, private, quality, queries, st
 
 
 def classify(spark, docs, sf_dir):
-    """Texts that the quality classifier, fitted on `labels`, keeps; columns of documents."""
+    """Texts that the quality classifier, fitted on `labels`, keeps; columns of documents.
+
+    A null or empty text has only the classifier's constant and is judged by it; rows without a doc_id are judged too.
+    """
     labels = queries.table(spark, sf_dir, "labels")
     return quality.classify(docs, labels).select(docs.columns)
 
 
 def exact_dedup(spark, docs, sf_dir):
-    """One row of each distinct text: that of the least doc_id. Null texts stay."""
+    """One row of each distinct text: that of the least doc_id (a null one only where there is no other). Null texts stay."""
     return exact.dedup(docs)
 
 
 def near_dedup(spark, docs, sf_dir):
-    """One document of each group of near copies: that of the least doc_id. Texts without words stay."""
+    """One document of each group of near copies: that of the least doc_id. Texts without words and rows without a doc_id stay."""
     return nearcopy.dedup(docs)
 
 
 def mask_private(spark, docs, sf_dir):
-    """All rows, with private data masked in their texts."""
+    """All rows, with private data masked in their texts; null and empty texts stay as they are."""
     return private.redact(docs).select(docs.columns)
 
 
 def pack(spark, docs, sf_dir):
-    """Windows of tokens: a row for each piece of a text."""
+    """Windows of tokens: a row for each piece of a text, with its ids; a text without tokens has one row without a window."""
     return packing.pack(docs)
 
 
