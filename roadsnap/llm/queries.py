@@ -91,5 +91,5 @@ firsts AS (SELECT doc_id, p, min(struct_pack(d := doc_id, p := p)) OVER (PARTITI
 copies AS (SELECT doc_id, p FROM firsts WHERE doc_id <> f.d OR p >= f.p + 50)
 SELECT doc_id, count(DISTINCT q) AS removed FROM (SELECT doc_id, unnest(range(p, p + 50)) AS q FROM copies) GROUP BY doc_id""",
 }
-#: The SQL of op7 tells removed words only, so it serves the tests and is no oracle of the query's rows.
+#: The SQL of op7 tells how many words each text loses, which a test compares; the texts themselves are held against brute force.
 OP7_REMOVED_SQL = ORACLE_SQL.pop("op7_suffix_dedup")

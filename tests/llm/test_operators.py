@@ -389,6 +389,18 @@ def test_fingerprints(spark, documents, texts):
     assert max(errors) < 0.25 and np.mean(errors) < 0.005
 
 
+def test_resemblance_as_a_column(spark, documents):
+    from pyspark.sql import functions as F
+
+    rows = fingerprint.sketch(documents).limit(30)
+    a, b = rows.select(F.col("doc_id").alias("i"), F.col("sketch").alias("x")), rows.select(F.col("doc_id").alias("j"), F.col("sketch").alias("y"))
+    for r in a.crossJoin(b).select("x", "y", fingerprint.resemblance(F.col("x"), F.col("y")).alias("r")).collect():
+        x, y = np.array(r["x"], np.int64), np.array(r["y"], np.int64)
+        union = np.union1d(x, y)[: fingerprint.K]
+        want = np.isin(union, np.intersect1d(x, y)).mean() if len(union) else 0.0
+        assert r["r"] == pytest.approx(want)
+
+
 def test_merged_sketch_is_that_of_the_union(spark, documents):
     parts = fingerprint.sketch(documents.select("lang", "text"), key="lang")
     whole = {r["lang"]: r["sketch"] for r in fingerprint.merged(parts, "lang").collect()}
