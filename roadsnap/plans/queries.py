@@ -979,8 +979,9 @@ def documents_jaccard_pairs(spark, sf_dir):
 
 
 def planted_study(spark, sf_dir, q=None) -> methods.Study:
+    """The planted day; with 150 typical vertices on a network of 10,000 vertices or more, else 40, unless told."""
     net = nets.planted_net(spark, sf_dir)
-    return methods.Study(net, 288, R_MS, q or 20)
+    return methods.Study(net, 288, R_MS, q or (150 if net.vertices.count() >= 10_000 else 40))
 
 
 def grid_study(spark, sf_dir, q=Q) -> methods.Study:
