@@ -120,8 +120,8 @@ def path_cv(costs: DataFrame) -> DataFrame:
 def select(kind: str, edges: DataFrame, regioned: DataFrame, pnum: int, cvs: DataFrame | None = None, seed: int = 42, top_share: float = 0.3, floor_share: float = 0.5, max_jaccard: float = 0.3, draws: int = 6, **kw) -> DataFrame:
     """Typical paths of one kind: random, constrained (on the most variable edges only) or greedy.
 
-    Regions that stay below their quota draw further turns, up to `draws` times, as walks may end early or be too much
-    alike; what is still missing then is told by a warning.
+    Regions that stay below their quota draw further turns, as walks may end early or be too much alike, until a draw
+    adds none or `draws` are made; what is still missing then is told by a warning.
     """
     from .edgevec import cv_filter
     from .regions import quota
@@ -130,7 +130,7 @@ def select(kind: str, edges: DataFrame, regioned: DataFrame, pnum: int, cvs: Dat
     if kind == "constrained":
         edges = edges.join(cv_filter(cvs, top_share=top_share), "eid", "left_semi")
     floor = cv_filter(cvs, top_share=floor_share).agg(F.min("cv")).first()[0] if kind == "greedy" else None
-    edges, quotas, short, every = cut(edges), cut(quotas), None, None
+    edges, quotas, short, every, had = cut(edges), cut(quotas), None, None, -1
     for again in range(draws):
         begun = starts(edges, regioned, quotas if short is None else short, seed, again=again)
         grown = cut(valid(grow(edges, begun, seed, cvs if kind == "greedy" else None, floor, **kw)))
@@ -140,6 +140,9 @@ def select(kind: str, edges: DataFrame, regioned: DataFrame, pnum: int, cvs: Dat
         short = cut(quotas.join(have, "region", "left").filter(F.coalesce("have", F.lit(0)) < F.col("quota")).select("region", "quota"))
         if short.isEmpty():
             return kept
-    missing = pnum - kept.count()
-    warnings.warn(f"{missing} of {pnum} typical paths were not found in {draws} draws", stacklevel=2)
+        found = kept.count()
+        if found == had:
+            break
+        had = found
+    warnings.warn(f"{pnum - had} of {pnum} typical paths were not found in {again + 1} draws", stacklevel=2)
     return kept
