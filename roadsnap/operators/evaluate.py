@@ -11,6 +11,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window, functions as F
 
 SCALE = 1_000_000_000
+#: Costs below it, in ms, have all products of _shares() below 2**53.
+EXACT = (1 << 53) // 32_000
 
 
 def pair_error(costs: DataFrame, pairs: DataFrame) -> DataFrame:
@@ -22,6 +24,20 @@ def pair_error(costs: DataFrame, pairs: DataFrame) -> DataFrame:
     return both.groupBy("typ", "act").agg(F.sum(micro).alias("s"), F.count("*").alias("c")).select("typ", "act", F.round(F.col("s") / F.col("c") / SCALE, 9).alias("err"))
 
 
+def _shares(gap: np.ndarray, act: np.ndarray) -> np.ndarray:
+    """Sums over rows of gap * SCALE div act, of whole numbers in doubles: a quarter of the time that integers take.
+
+    The quotient is formed in two steps, whose products and quotients stay below 2**53: then a quotient that is rounded to a double has the right floor.
+    """
+    gap *= 32_000
+    high = np.floor(gap / act)
+    gap -= high * act
+    gap *= SCALE // 32_000
+    gap /= act
+    np.floor(gap, out=gap)
+    return high.sum(0).astype(np.int64) * (SCALE // 32_000) + gap.sum(0).astype(np.int64)
+
+
 def error_matrix(cost_rows: DataFrame, n: int, band: int | None = None) -> DataFrame:
     """(typ, act, err) for all pairs at most `band` apart: the means of error_sums()."""
     part = error_sums(cost_rows, n, band)
@@ -42,12 +58,17 @@ def error_sums(cost_rows: DataFrame, n: int, band: int | None = None) -> DataFra
             if not b.num_rows:
                 continue
             d = b.column("d").flatten().to_numpy(zero_copy_only=False).reshape(b.num_rows, n)
-            for lo in range(0, len(d), 2048):
-                block = d[lo : lo + 2048]
+            lines = max(64, 16_384 // max(1, min(n, 2 * width + 1)))  # a block stays in the cache
+            for lo in range(0, len(d), lines):
+                block = d[lo : lo + lines]
+                least, most = block.min(initial=EXACT), block.max(initial=1)
+                plain = 0 < least and most < EXACT and most < least << 24  # sums over a block stay below 2**53 too
+                whole = block.astype(np.float64) if plain else block
                 for t in range(n):
                     a0, a1 = max(0, t - width), min(n, t + width + 1)
-                    act = block[:, a0:a1]
-                    total[t, a0:a1] += (np.abs(block[:, t : t + 1] - act) * SCALE // act).sum(0)
+                    act = whole[:, a0:a1]
+                    gap = np.abs(whole[:, t : t + 1] - act)
+                    total[t, a0:a1] += _shares(gap, act) if plain else (gap * SCALE // act).sum(0)
             count += b.num_rows
         if count:
             t, a = np.nonzero(np.abs(np.subtract.outer(np.arange(n), np.arange(n))) <= width)

@@ -1,5 +1,12 @@
 """Queries that were right on small tables only, or formed more rows than a larger table allows."""
 
+import random
+
+import numpy as np
+import pyarrow as pa
+import pytest
+
+from roadsnap.operators import evaluate, paths
 from roadsnap.plans import queries, queries_ops  # noqa: F401 - the import fills the registry
 
 
@@ -11,3 +18,44 @@ def test_theta_sketch_beyond_its_nominal_size(spark, tmp_path):
     orders.write.parquet(f"{tmp_path}/orders.parquet")
     found = queries.QUERIES["op_theta_sketch"](spark, str(tmp_path)).collect()
     assert {tuple(r) for r in found} == {(1995, 150_001, 0), (1996, 75_001, 75_000)}
+
+
+def test_costs_by_runs_equal_those_by_edges(spark):
+    """Chains with gaps and doubled edges, long weights, paths of one run, without any edge, and with a missing id."""
+    r = random.Random(6)
+    edges = [(e, c, p, [r.choice((r.randrange(100), r.randrange(1 << 40))) for _ in range(3)]) for e, (c, p) in enumerate([(c, p) for c in range(5) for p in range(30) if r.random() < 0.7] + [(0, 3), (4, 9)])]
+    legs = [(i, r.randrange(-1, 3), *sorted(r.sample(range(35), 2)), r.randrange(2, 6) if i % 9 else -2, *sorted(r.sample(range(35), 2))) for i in range(300)] + [(None, 1, 2, 2, 4, 9, 12)]
+    want = {}
+    for pid, *runs in legs:
+        on = [w for c, lo, hi in (runs[:3], runs[3:]) for _, d, p, w in edges if d == c and lo <= p <= hi]
+        if on:
+            want[pid] = [sum(x) for x in zip(*on)]
+    w = paths.coded(np.array([e[3] for e in edges])).to_pylist()
+    places = spark.createDataFrame([(e, c, p, x) for (e, c, p, _), x in zip(edges, w)], "eid bigint, chain bigint, pos bigint, w binary")
+    got = paths.cost_legs(spark.createDataFrame(legs, "pid bigint, c1 bigint, lo1 bigint, hi1 bigint, c2 bigint, lo2 bigint, hi2 bigint"), places).collect()
+    assert len(got) == len(want) < len(legs) and {x["pid"]: x["d"] for x in got} == want
+    assert {x["eid"]: x["w"] for x in paths.opened(places).collect()} == {e: x for e, _, _, x in edges}
+
+
+def test_coded_rows_of_either_width():
+    small, large = np.array([[1, -5], [2**31 - 1, 0]]), np.array([[2**31, 2**31 + 7]])
+    both = pa.concat_arrays([paths.coded(small), paths.coded(large)])
+    assert paths.decoded(both).tolist() == [*small.tolist(), *large.tolist()] and paths.decoded(both.slice(1, 2)).tolist() == [small[1].tolist(), large[0].tolist()]
+    assert len(paths.coded(large)[0].as_py()) == 9 and len(paths.coded(large - 2**31)[0].as_py()) == 3
+
+
+@pytest.mark.parametrize("name", ["path_costs_grid", "error_band_grid"])
+def test_grid_costs_send_no_row_per_edge_of_a_path(spark, sf, name):
+    """A path's edges are not listed, so nothing grows with their number."""
+    plan = queries.QUERIES[name](spark, sf)._jdf.queryExecution().optimizedPlan().toString()
+    assert "explode(sequence" not in plan and "FlatMapCoGroupsInArrow" in plan
+
+
+def test_shares_of_errors(spark):
+    """Sums in doubles are those in integers, whatever the costs' size."""
+    r = np.random.default_rng(8)
+    for most in (2, 1000, 10**7, 9 * 10**9):
+        d = r.integers(1, most, (500, 6))
+        want = {(t, a): sum(abs(int(x[t]) - int(x[a])) * 10**9 // int(x[a]) for x in d) for t in range(6) for a in range(6)}
+        got = evaluate.error_sums(spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(d)], "pid bigint, d array<bigint>"), 6).collect()
+        assert {(x["typ"], x["act"]): x["s"] for x in got} == want
