@@ -80,8 +80,12 @@ def _lloyd(x, c, iters):
 def kmeans(rep: DataFrame, k: int, iters: int = 50) -> DataFrame:
     """(snap, cluster, typ, dist): typ is the member nearest to the centre, dist the distance to the centre."""
     ids, x = collect_vectors(rep)
-    label, c = kmeans_kernel(x, k, iters)
-    return _frame(rep.sparkSession, ids, *_nearest(ids, x, label, c))
+    return _frame(rep.sparkSession, ids, *kmeans_members(ids, x, k, iters))
+
+
+def kmeans_members(ids: np.ndarray, x: np.ndarray, k: int, iters: int = 50) -> tuple:
+    """kmeans() of collected vectors: (cluster, typ, dist) in the order of ids."""
+    return _nearest(ids, x, *kmeans_kernel(x, k, iters))
 
 
 def _nearest(ids, x, label, c):
@@ -170,8 +174,13 @@ def medoids(ids: np.ndarray, d: np.ndarray, label: np.ndarray, rule: str = "max"
 def agglomerative(dist: DataFrame, linkage: str = "complete", tau: float | None = None, k: int | None = None, rule: str = "max", snaps: DataFrame | None = None) -> DataFrame:
     """(snap, cluster, typ, dist) of rows (i, j, dist); `snaps` (snap) adds those that are in no row."""
     ids, d = collect_distances(dist, snaps)
+    return _frame(dist.sparkSession, ids, *merged_members(ids, d, linkage, tau, k, rule))
+
+
+def merged_members(ids: np.ndarray, d: np.ndarray, linkage: str = "complete", tau: float | None = None, k: int | None = None, rule: str = "max") -> tuple:
+    """agglomerative() of collected distances: (cluster, typ, dist) in the order of ids."""
     label = agglomerate(d, linkage, tau, k)
-    return _frame(dist.sparkSession, ids, label, *medoids(ids, d, label, rule))
+    return label, *medoids(ids, d, label, rule)
 
 
 def agglomerative_rounds(dist: DataFrame, snaps: DataFrame, tau: float, linkage: str = "complete") -> DataFrame:

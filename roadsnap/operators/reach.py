@@ -4,9 +4,11 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, functions as F
 
 from ..functions.shared import cut, drop
+from .paths import coded, decoded
 
 FAR = np.iinfo(np.int64).max
 
@@ -69,13 +71,18 @@ WIDE = 4
 
 
 def _blocks(edges, weights, origins, r_ms, vertices, cell, emit="sets"):
-    """Two passes: on each edge's least weight, what a cell's origins can ever reach; then every snapshot on just that.
+    """Two passes: on each edge's least weight, what a cell's origins can ever reach; then every snapshot on just that."""
+    near, mine = _reachable(edges, cut(least(weights)), origins, r_ms, vertices, cell)
+    return _search(arcs(edges, weights), near, mine, weights.select("snap").distinct(), r_ms, emit)
+
+
+def _reachable(edges, floor, origins, r_ms, vertices, cell):
+    """(src, cx, cy) of vertices whose outgoing arcs a cell needs, and (cx, cy, src) of its origins, from edges' least weights.
 
     No way of travel time r leads further than r over the least travel time per step of the map (an edge's
     least weight over the larger of its two coordinate differences).  Where that halo is narrow it is cut out by
     coordinates; where some edge is long or fast, rounds over whole cells tell the same.
     """
-    floor = cut(least(weights))
     at = vertices.select("vid", "x", "y")
     slow = arcs(edges, floor)
     a, b = at.selectExpr("vid as src", "x as xa", "y as ya"), at.selectExpr("vid as dst", "x as xb", "y as yb")
@@ -93,7 +100,7 @@ def _blocks(edges, weights, origins, r_ms, vertices, cell, emit="sets"):
         near = near.join(mine.select("cx", "cy").distinct(), ["cx", "cy"], "left_semi").select("src", "cx", "cy")
         ever = _search(slow, near, mine, floor.select("snap").distinct(), r_ms)
         near = cut(ever.join(mine.withColumnRenamed("src", "origin"), "origin").select(F.col("reached").alias("src"), "cx", "cy").distinct())
-    return _search(arcs(edges, weights), near, mine, weights.select("snap").distinct(), r_ms, emit)
+    return near, mine
 
 
 def neighbourhood(edges: DataFrame, weights: DataFrame, origins: DataFrame, r_ms: int, slack: float = 0.5) -> DataFrame:
@@ -171,3 +178,109 @@ def _kernel(rows, mine, snaps, r_ms, emit):
 
     names = ["snap", "vid", "size"] if emit == "sizes" else ["snap", "origin", "reached", "dist_ms"]
     return rows.unionByName(wanted).groupBy("snap", "cx", "cy").applyInArrow(search, ", ".join(f"{n} {'int' if n == 'snap' else 'bigint'}" for n in names))
+
+
+# ---------------------------------------------------------------- weights in coded form
+
+
+def least_coded(places: DataFrame) -> DataFrame:
+    """least() of weights in coded form."""
+
+    def run(batches):
+        for b in batches:
+            if b.num_rows:
+                yield pa.RecordBatch.from_arrays([pa.array(np.zeros(b.num_rows, np.int32)), b.column("eid"), pa.array(decoded(b.column("w")).min(1))], names=["snap", "eid", "w_ms"])
+
+    return places.select("eid", "w").mapInArrow(run, "snap int, eid bigint, w_ms bigint")
+
+
+def bounded_coded(edges: DataFrame, places: DataFrame, origins: DataFrame, r_ms: int, vertices: DataFrame, n: int, emit: str = "sets", floor: DataFrame | None = None, cell: int = 32) -> DataFrame:
+    """bounded() and sizes() from weights of n snapshots in coded form: a task searches all snapshots of a cell at once.
+
+    sets: (snap, origin, reached, dist_ms); ever: (origin, reached) of what is reached in any snapshot; sizes: (vid, w), numbers of reached
+    vertices in snapshot order, coded.  A row per edge and cell travels; `floor`, edges' least weights, is made once where several searches need it.
+    """
+    near, mine = _reachable(edges, cut(least_coded(places)) if floor is None else floor, origins, r_ms, vertices, cell)
+    arc = places.select("eid", "w").join(edges.select("eid", "src", "dst"), "eid").join(near.select("src").distinct(), "src", "left_semi")
+
+    def clip(batches):
+        """What is longer than r is of no use, and takes fewer bytes when it is cut to r + 1."""
+        for b in batches:
+            if b.num_rows:
+                yield pa.RecordBatch.from_arrays([b.column("src"), b.column("dst"), coded(np.minimum(decoded(b.column("w")), r_ms + 1))], names=["src", "dst", "w"])
+
+    rows = arc.select("src", "dst", "w").mapInArrow(clip, "src bigint, dst bigint, w binary").join(near, "src").select("cx", "cy", "src", "dst", "w")
+    wanted = mine.select("cx", "cy", "src", F.lit(None).cast("bigint").alias("dst"), F.lit(None).cast("binary").alias("w"))
+    form = {"sets": "snap int, origin bigint, reached bigint, dist_ms bigint", "ever": "origin bigint, reached bigint", "sizes": "vid bigint, w binary"}[emit]
+    return rows.unionByName(wanted).groupBy("cx", "cy").applyInArrow(lambda table: _all_snapshots(table, r_ms, n, emit), form)
+
+
+#: Travel times, of arcs times snapshots, that are added at once.
+AT_ONCE = 1 << 20
+
+
+def _all_snapshots(table: pa.Table, r_ms: int, n: int, emit: str) -> pa.Table:
+    """Origins of a cell together: a row of n travel times for each vertex that an origin reaches in any snapshot."""
+    table = table.combine_chunks()
+    own = table.filter(pc.is_null(table.column("dst"))).column("src").to_numpy()
+    table = table.filter(pc.is_valid(table.column("dst")))
+    src, dst = table.column("src").to_numpy(), table.column("dst").to_numpy()
+    kind = np.int32 if r_ms < 1 << 29 else np.int64
+    far = r_ms + 1  # also where a sum is larger
+    ids = np.unique(np.concatenate([src, dst, own]))
+    tail, head = np.searchsorted(ids, src), np.searchsorted(ids, dst)
+    order = np.argsort(tail, kind="stable")
+    head, cost = head[order], (decoded(table.column("w"))[order] if len(src) else np.zeros((0, n))).astype(kind)
+    first = np.searchsorted(tail[order], np.arange(len(ids) + 1))
+    m, every, out = len(ids), np.unique(np.searchsorted(ids, own)), []
+    some = max(1, min(64, DENSE // max(1, m)))
+    for lo in range(0, len(every), some):
+        at = every[lo : lo + some]
+        row_of = np.full(len(at) * m, -1, np.int64)  # of an (origin, vertex) its row in best
+        state = np.arange(len(at)) * m + at  # and back
+        best = np.zeros((len(at), n), kind)
+        row_of[state] = np.arange(len(at))
+        front = np.arange(len(at))
+        while len(front):
+            deg = first[state[front] % m + 1] - first[state[front] % m]
+            improved = []
+            for part in np.array_split(front, max(1, int(deg.sum()) * n // AT_ONCE)):
+                v = state[part] % m
+                deg = first[v + 1] - first[v]
+                arc = np.arange(deg.sum()) + np.repeat(first[v] - np.cumsum(deg) + deg, deg)
+                to = np.repeat(state[part] - v, deg) + head[arc]
+                order = np.argsort(to, kind="stable")
+                to, begin = np.unique(to[order], return_index=True)
+                if not len(to):
+                    continue
+                took = best[np.repeat(part, deg)[order]] + cost[arc[order]]
+                took = np.minimum(np.minimum.reduceat(took, begin, 0), far)
+                row = row_of[to]
+                had = best[row]
+                had[row < 0] = far
+                better = (took < had).any(1)
+                to, row, took = to[better], row[better], np.minimum(took, had)[better]
+                new = np.flatnonzero(row < 0)
+                row[new] = len(state) + np.arange(len(new))
+                row_of[to[new]] = row[new]
+                state = np.concatenate([state, to[new]])
+                if len(state) > len(best):
+                    best = np.concatenate([best, np.empty((max(len(best), len(state) - len(best)), n), kind)])
+                best[row] = took
+                improved.append(row)
+            front = np.unique(np.concatenate(improved)) if improved else front[:0]
+        origin, within = state // m, best[: len(state)]
+        if emit == "sizes":
+            order = np.argsort(origin, kind="stable")
+            out.append((ids[at], np.add.reduceat(within[order] <= r_ms, np.searchsorted(origin[order], np.arange(len(at))), 0, dtype=np.int64)))
+        elif emit == "ever":
+            out.append((ids[at[origin]], ids[state % m]))
+        else:
+            row, snap = np.nonzero(within <= r_ms)
+            out.append((snap.astype(np.int32), ids[at[origin[row]]], ids[state[row] % m], within[row, snap].astype(np.int64)))
+    cols = [np.concatenate(c) for c in zip(*out)]
+    if emit == "sizes":
+        return pa.table([pa.array(cols[0]), coded(cols[1])], names=["vid", "w"]) if out else pa.table([pa.array([], pa.int64()), pa.array([], pa.binary())], names=["vid", "w"])
+    kinds = [pa.int32()] * (emit == "sets") + [pa.int64()] * (3 if emit == "sets" else 2)
+    names = ["snap", "origin", "reached", "dist_ms"] if emit == "sets" else ["origin", "reached"]
+    return pa.table([pa.array(c, k) for c, k in zip(cols or [[]] * len(kinds), kinds)], names=names)
