@@ -8,7 +8,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from roadsnap.functions.shared import cut
-from roadsnap.operators import edgevec, evaluate, hotspots, paths, reach
+from roadsnap.operators import distances, edgevec, evaluate, hotspots, paths, reach
 from roadsnap.plans import methods, queries, queries_ops  # noqa: F401 - the import fills the registry
 from roadsnap.sources import nets
 
@@ -122,3 +122,20 @@ def test_vertex_studies_write_no_weight_by_snapshot(spark, sf):
     got = [tuple(x) for x in methods.curve(study, kinds, (4, 9), 5).collect()]
     assert "weights" not in study.held
     assert got == [methods.measured(study, m, methods.select_typical(study, m, k, 5), k, 5) for m in kinds for k in (4, 9)]
+
+
+def test_close_classes_lose_no_link_and_expand_no_copies(spark, monkeypatch):
+    """Many copies, sizes over several blocks and bands: links of all pairs follow from classes; each other copy has one row."""
+    monkeypatch.setattr(distances, "BLOCK", 200)
+    r = random.Random(3)
+    pool = [r.sample(range(r.choice((6, 40))), r.randrange(1, 6)) if r.random() < 0.6 else r.sample(range(60), r.randrange(10, 45)) for _ in range(80)]
+    data = [(i, r.choice("ab"), r.sample(p, len(p))) for i, p in enumerate(r.choices(pool, k=160))] + [(500, "a", []), (501, None, [1]), (502, "a", None), *((i, "a", [1, 2]) for i in range(600, 700))]
+    sets = {i: (k, frozenset(m)) for i, k, m in data if k and m}
+    least = {}
+    for i in sorted(sets):
+        least.setdefault(sets[i], i)
+    jaccard = lambda x, y: round(1 - len(x & y) / len(x | y), 6)
+    want = {(a, b): jaccard(sets[a][1], sets[b][1]) for a in least.values() for b in least.values() if a < b and sets[a][0] == sets[b][0] and 2 * len(sets[a][1] & sets[b][1]) >= len(sets[a][1] | sets[b][1])}
+    want |= {(least[x], i): 0.0 for i, x in sets.items() if least[x] != i}
+    got = distances.close_classes(spark.createDataFrame(data, "id bigint, kind string, members array<int>"), 0.5).collect()
+    assert len(got) == len(want) and {(x["a"], x["b"]): x["dist"] for x in got} == want
