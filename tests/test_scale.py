@@ -139,3 +139,12 @@ def test_close_classes_lose_no_link_and_expand_no_copies(spark, monkeypatch):
     want |= {(least[x], i): 0.0 for i, x in sets.items() if least[x] != i}
     got = distances.close_classes(spark.createDataFrame(data, "id bigint, kind string, members array<int>"), 0.5).collect()
     assert len(got) == len(want) and {(x["a"], x["b"]): x["dist"] for x in got} == want
+
+
+def test_replayed_events_do_not_pass_through_the_driver(spark, sf, monkeypatch):
+    """A source's rows are formed on the driver: it tells a row per snapshot, and executors read the events."""
+    seen = []
+    monkeypatch.setattr(queries.traffic, "answer_stream", lambda places, *_: seen.append(places))
+    queries.stream_to_answer(spark, sf, 28)
+    source = [x for x in seen[0]._jdf.queryExecution().analyzed().toString().splitlines() if "Streaming" in x]
+    assert seen[0].isStreaming and len(source) == 1 and "snap" in source[0] and "obs_ms" not in source[0] and "event_id" not in source[0]
